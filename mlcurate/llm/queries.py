@@ -27,5 +27,23 @@ def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode(table(spark, sf_dir, "documents"), digests=True)
 
 
-QUERIES = {f.__name__: f for f in (op2_token_counts, op3_token_id_files, op5_bpe)}
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import pii
+
+    return pii.digest(table(spark, sf_dir, "documents"))
+
+
+def op7_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import licenses
+
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
+def op8_gif(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import gif
+
+    return gif.digest(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op2_token_counts, op3_token_id_files, op5_bpe, op6_pii, op7_licenses, op8_gif)}
 ORACLES: dict[str, str] = {}
