@@ -7,6 +7,12 @@ from pyspark.sql import DataFrame, SparkSession
 from mlcurate.io import table
 
 
+def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import jaccard_join
+
+    return jaccard_join.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     from mlcurate.llm import token_counts as t
 
@@ -45,5 +51,5 @@ def op8_gif(spark: SparkSession, sf_dir: str) -> DataFrame:
     return gif.digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_token_counts, op3_token_id_files, op5_bpe, op6_pii, op7_licenses, op8_gif)}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op5_bpe, op6_pii, op7_licenses, op8_gif)}
 ORACLES: dict[str, str] = {}
