@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from mlcurate.llm import tokens
-from mlcurate.session import prepare
+from mlcurate.session import prepare, settle
 
 #: Lengths that share one running sum; runs are then joined by their totals.
 RUN = 1024
@@ -42,8 +42,8 @@ def encoded_lengths(docs: DataFrame, path: str | None = None, text: str = "text"
 
 
 def histogram(lengths: DataFrame) -> DataFrame:
-    """(n_tokens, n_docs), one row per distinct length; combined before the shuffle."""
-    return lengths.groupBy("n_tokens").agg(F.count(F.lit(1)).alias("n_docs"))
+    """(n_tokens, n_docs), one row per distinct length; combined before the shuffle and written once, since the sums read it more than once."""
+    return settle(lengths.groupBy("n_tokens").agg(F.count(F.lit(1)).alias("n_docs")), "lengths")
 
 
 def suffix_sums(hist: DataFrame) -> DataFrame:
