@@ -51,5 +51,18 @@ def op8_gif(spark: SparkSession, sf_dir: str) -> DataFrame:
     return gif.digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op5_bpe, op6_pii, op7_licenses, op8_gif)}
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import decontaminate
+
+    return decontaminate.search(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import toxicity
+
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op5_bpe, op6_pii, op7_licenses, op8_gif, op9_decontamination, op10_toxicity)}
 ORACLES: dict[str, str] = {}
