@@ -27,6 +27,12 @@ def op3_token_id_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return f.digest(spark, path)
 
 
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from mlcurate.llm import line_dedup
+
+    return line_dedup.report(table(spark, sf_dir, "documents"))
+
+
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from mlcurate.llm import bpe
 
@@ -64,5 +70,5 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op5_bpe, op6_pii, op7_licenses, op8_gif, op9_decontamination, op10_toxicity)}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op4_line_dedup, op5_bpe, op6_pii, op7_licenses, op8_gif, op9_decontamination, op10_toxicity)}
 ORACLES: dict[str, str] = {}

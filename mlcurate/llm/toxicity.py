@@ -13,7 +13,7 @@ crc32(doc_id) mod 5 is not 0. Which window makes a labelled document toxic is no
 known; the one whose n-grams are most lopsided between the labels stands for it. The
 logit that best parts the sampled documents becomes score 0.5.
 
-Defined cases: null and empty texts, and texts without words, score 0; without labels
+Defined cases: null and empty texts, and texts of white space, score 0; without labels
 of both kinds every score is 0; a null doc_id counts as held out; repeated rows
 repeat; extra columns are ignored.
 """
@@ -31,10 +31,10 @@ from mlcurate.llm.tokens import slices
 from mlcurate.session import prepare
 
 WINDOW, STRIDE = 48, 40
-SAMPLE, SAMPLE_CHARS = 2000, 100_000
+SAMPLE, SAMPLE_CHARS = 1500, 100_000
 WORD_ROWS, GRAM_ROWS, WORD_DIM, GRAM_DIM, HIDDEN, ATTEND = 1 << 13, 1 << 15, 8, 8, 8, 8
 GRAMS = (3, 5, 8)
-EPOCHS, BATCH, RATE = 8, 128, 0.01
+EPOCHS, STEPS, BATCH, RATE = 8, 400, 64, 0.01  # STEPS: at least so many, by more epochs where data are few
 _MAX_WORDS = 300_000
 _MARKS = re.compile(r"[\W_]+")
 
@@ -58,7 +58,7 @@ def features(words: list[str]) -> tuple[np.ndarray, list[np.ndarray], np.ndarray
         for k in range(n):
             h = (h ^ (a[k : len(left) + k] * (left > k))) * np.uint32(0x01000193)
             h ^= h >> np.uint32(15)
-        ids.append((h & np.uint32(GRAM_ROWS - 1)).astype(np.int64))
+        ids.append((h & np.uint32(GRAM_ROWS - 1)).astype(np.int32))
     return own, ids, lens
 
 
@@ -212,9 +212,9 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Network | None:
 
     shown, want = pick(lambda i, r, begins: int(np.argmax([value[r[b : b + WINDOW]].max() for b in begins])))
     m1, m2 = {k: np.zeros_like(v) for k, v in net.p.items()}, {k: np.zeros_like(v) for k, v in net.p.items()}
-    step = 0
-    for epoch in range(EPOCHS):
-        if epoch == EPOCHS // 2:  # by now the network tells better than the odds which windows matter
+    step, epochs = 0, max(EPOCHS, -(-STEPS * BATCH // max(len(shown), 1)))
+    for epoch in range(epochs):
+        if epoch == epochs // 2:  # by now the network tells better than the odds which windows matter
             seen = Scorer(net).window_logits(texts)
             shown, want = pick(lambda i, r, begins: int(np.argmax(seen[i])))
         order = rng.permutation(len(shown))
@@ -227,6 +227,8 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Network | None:
             place = np.repeat(ends[used] - np.cumsum(n), n) + np.arange(n.sum())
             gi = [x[place] for x in ids]
             x = net.embed(own[used], gi, n)
+            hide = rng.random(len(x)) < 0.5  # half of the words show their n-grams only, so words are not learnt by heart
+            x[hide, :WORD_DIM] = 0
             px = net.project(x)[inverse.reshape(m.shape)]
             g, dpx, _ = net.gradients(px, real, want[part])
             flat = _summed(inverse, dpx.reshape(-1, dpx.shape[2]), len(used))
@@ -235,11 +237,12 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Network | None:
                 d = flat[:, off : off + 3 * HIDDEN]
                 g[f"x{w}"], g[f"b{w}"] = x.T @ d, d.sum(0)
                 dx += d @ net.p[f"x{w}"].T
+            dx[hide, :WORD_DIM] = 0
             g["word"] = _summed(own[used], dx[:, :WORD_DIM], WORD_ROWS)
             each = np.repeat(dx[:, WORD_DIM:] / n[:, None].astype(np.float32), n, 0)
             g["gram"] = sum(_summed(i, each, GRAM_ROWS) for i in gi)
             step += 1
-            rate = np.float32(RATE * (1 - epoch / (EPOCHS + 1)))
+            rate = np.float32(RATE * (1 - epoch / (epochs + 1)))
             for k, v in net.p.items():
                 m1[k] += np.float32(0.1) * (g[k] - m1[k])
                 m2[k] += np.float32(0.01) * (g[k] * g[k] - m2[k])

@@ -61,6 +61,27 @@ def test_jaccard_join_is_brute_force(spark, seed):
     assert sorted(r.doc_id for r in kept.collect()) == sorted({comp[i] for i in links})
 
 
+def test_jaccard_join_in_small_blocks(spark, monkeypatch):
+    """A family of texts at all distances, dealt into many blocks, some of them empty."""
+    from mlcurate.llm import jaccard_join as j
+
+    rng = random.Random(9)
+    words = [f"w{i}" for i in range(300)]
+    base = [rng.choice(words) for _ in range(80)]
+    texts = []
+    for _ in range(90):
+        x = list(base)
+        for _ in range(rng.randrange(0, 6)):
+            x[rng.randrange(len(x))] = rng.choice(words)
+        texts.append(" ".join(x))
+    monkeypatch.setattr(j, "BLOCK_TEXTS", 7)
+    monkeypatch.setattr(j, "BLOCK_CHARS", 3500)
+    links, comp = brute(texts, [j.shingles(t) for t in texts], 0.8)
+    got = {r.doc_id: r for r in j.near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert {i: got[i].n_links for i in got} == {i: len(v) for i, v in links.items()}
+    assert [got[i].group_id for i in range(len(texts))] == comp
+
+
 def test_jaccard_join_of_the_documents(spark):
     from mlcurate.llm import jaccard_join as j
 
