@@ -1,8 +1,63 @@
-"""Training-data pipeline: five operators in a row over ``documents``."""
+"""Training-data pipeline over ``documents``: toxicity, line dedup, n-gram Jaccard join,
+benchmark decontamination, BPE encoding and decoding.
 
-STAGES: list = []
+Every stage works on all that its predecessor kept; all but the last return the
+columns of ``documents``. A stage's result is written as Parquet in the shared folder
+and read again as the next one's input.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from mlcurate.io import table
+from mlcurate.llm import bpe, decontaminate, jaccard_join, line_dedup, toxicity
+from mlcurate.session import prepare, settle
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the network doesn't call toxic."""
+    net = toxicity.fit(docs, table(spark, sf_dir, "labels"))
+    scored = toxicity.score(docs, net, tuple(c for c in docs.columns if c != "doc_id"))
+    return scored.where(F.col("predicted") == 0).select(*docs.columns)
+
+
+def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the lines that another line stands for; n_chars follows the text."""
+    out = line_dedup.drop_lines(docs)
+    return out.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns) if "n_chars" in docs.columns else out
+
+
+def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates."""
+    return jaccard_join.keep_one(docs).select(*docs.columns)
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no benchmark item."""
+    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark")).select(*docs.columns)
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Ids of every document, and hashes of ids and decoded text."""
+    return bpe.encode(docs, digests=True)
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("line dedup", drop_repeated_lines),
+    ("n-gram Jaccard join", keep_one_of_each_group),
+    ("benchmark decontamination", drop_contaminated),
+    ("BPE encoding", encode),
+]
+#: SQL can't express the network or the tokenizer; tests/llm/test_pipeline.py holds the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    prepare(spark)
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    return STAGES[-1][1](spark, docs, sf_dir)
