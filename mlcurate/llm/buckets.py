@@ -1,15 +1,16 @@
 """Candidate pairs from bucket rows without writing out all pairs of a bucket.
 
 ``members`` keeps the rows (key, id) of buckets with two ids or more and adds the
-bucket's smallest id, its pivot. ``star`` pairs every member with the pivot. After
-the star pairs are verified, ids that are known to belong together share a group;
-``across`` then pairs only members of different groups of a bucket, so a bucket whose
-members all belong together, however large, gives no further pair.
+bucket's smallest id, its pivot. ``star`` pairs every member with the pivot. Once
+star pairs say which ids belong together, ``mixed`` keeps the buckets that still hold
+ids of different groups. ``blocks`` deals the rows of a group, whatever its size, into
+blocks of bounded size and sends each pair of blocks to one task, so pairs are looked
+at inside a task and never written out as rows.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -25,17 +26,20 @@ def star(m: DataFrame) -> DataFrame:
     return m.where("id != pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
 
 
-def across(m: DataFrame, groups: DataFrame, tried: DataFrame) -> DataFrame:
-    """(a, b) with a < b: members of one bucket in different groups, but for the pairs ``tried`` already.
+def mixed(m: DataFrame, groups: DataFrame) -> DataFrame:
+    """(key, id, grp): members of the buckets that hold more than one group.
 
     groups: (id, grp); an id without a row is a group of its own."""
     g = m.join(groups, "id", "left").select("key", "id", F.coalesce("grp", "id").alias("grp"))
-    # (key, group) pairs are few next to members: groups that fill a bucket alone end here
-    kg = g.groupBy("key", "grp").agg(F.count(F.lit(1)).alias("n"))
-    mixed = kg.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo != hi").select("key")
-    kg = kg.join(mixed, "key", "left_semi").select("key", "grp")
-    met = kg.join(kg.select("key", F.col("grp").alias("other")), "key").where("grp < other")
-    left = g.select("key", "grp", F.col("id").alias("x"))
-    right = g.select("key", F.col("grp").alias("other"), F.col("id").alias("y"))
-    pairs = met.join(left, ["key", "grp"]).join(right, ["key", "other"])
-    return pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct().join(tried.select("a", "b"), ["a", "b"], "left_anti")
+    some = g.groupBy("key").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo != hi").select("key")
+    return g.join(some, "key", "left_semi")
+
+
+def blocks(rows: DataFrame, group: str, size: Column, most: int) -> DataFrame:
+    """``rows`` with columns lo, hi and block: each row once for every pair of blocks that its own is in.
+
+    ``size`` is what a row weighs; a group has as many blocks as keep one at about ``most``."""
+    n = rows.groupBy(F.col(group).alias("__g")).agg(F.ceil(F.sum(size) / most).cast("int").alias("__n"))
+    x = rows.join(n, F.col(group) == F.col("__g")).withColumn("block", F.pmod(F.xxhash64("id"), F.col("__n")).cast("int"))
+    x = x.withColumn("__x", F.explode(F.sequence(F.lit(0), F.col("__n") - 1)))
+    return x.withColumns({"lo": F.least("block", "__x"), "hi": F.greatest("block", "__x")}).drop("__g", "__n", "__x")

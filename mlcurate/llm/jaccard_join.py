@@ -8,10 +8,14 @@ Beta posterior of the similarity (uniform prior), and the pair is dropped as soo
 the probability that it reaches the threshold falls below ``TOLERANCE``. What is
 left is verified exactly, shingle by shingle.
 
-Links inside a dense group are not written out: texts whose distance to a pivot is
-at most half of the allowed distance lie within the allowed distance of each other
-(Jaccard distance is a metric), so they form a core whose members are all linked.
-Pairs across cores are candidates one by one.
+No list of all pairs of a group is written. Bucket members are compared with the
+bucket's pivot; pairs that survive pruning make families. Texts within half of the
+allowed distance of a pivot form a core: Jaccard distance is a metric, so all of a
+core's texts are linked with each other, and a family that is one core needs no more
+work. The other pairs of a family are pruned and verified inside tasks that each see
+two bounded blocks of it and give back one row per text: how many links, and the
+smallest text reached. Members of one bucket and different families are pruned the
+same way, and the few pairs left are verified one by one.
 
 Result per document: doc_id, class_id (smallest doc_id with the same text), n_copies,
 n_links (other documents whose text is identical or similar enough), group_id
@@ -38,6 +42,8 @@ from mlcurate.session import prepare, settle
 GRAM, THRESHOLD = 5, 0.8
 #: 24 bands of 4: a pair at 0.8 meets in a bucket but for 3 in a million.
 HASHES, ROWS, STEP, TOLERANCE = 96, 4, 16, 1e-6
+#: What one block of a family may hold; a task sees two blocks.
+BLOCK_TEXTS, BLOCK_CHARS = 200, 1_000_000
 _WORD = re.compile(r"\w+")
 _MULT = (np.random.default_rng(20240611).integers(1, 1 << 62, HASHES, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
 _ADD = np.random.default_rng(1311).integers(0, 1 << 63, HASHES, dtype=np.uint64)
@@ -138,8 +144,8 @@ def classes(docs: DataFrame, gram: int) -> DataFrame:
     return x.select("h1", "h2", "h3", F.col("x.doc_id").alias("id"), "n", F.col("x.sig").alias("sig"))
 
 
-def _verified(pairs: DataFrame, sigs: DataFrame, texts: DataFrame, gram: int, threshold: float) -> DataFrame:
-    """(a, b, sim): pairs that survive pruning, with their exact similarity where it reaches the threshold."""
+def _pruned(pairs: DataFrame, sigs: DataFrame, threshold: float) -> DataFrame:
+    """(a, b): pairs that survive the comparison of their signatures."""
     limits = least_agreeing(threshold)
     both = pairs.join(sigs.select(F.col("id").alias("a"), F.col("sig").alias("sa")), "a").join(sigs.select(F.col("id").alias("b"), F.col("sig").alias("sb")), "b")
 
@@ -150,8 +156,12 @@ def _verified(pairs: DataFrame, sigs: DataFrame, texts: DataFrame, gram: int, th
             sa, sb = (np.asarray(b.column(i).flatten()).reshape(-1, HASHES) for i in (2, 3))
             yield pa.RecordBatch.from_arrays([c.take(pa.array(surviving(sa, sb, limits))) for c in b.columns[:2]], ["a", "b"])
 
-    kept = both.select("a", "b", "sa", "sb").mapInArrow(prune, "a long, b long")
-    full = kept.join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b")
+    return both.select("a", "b", "sa", "sb").mapInArrow(prune, "a long, b long")
+
+
+def _verified(pairs: DataFrame, texts: DataFrame, gram: int, least: float) -> DataFrame:
+    """(a, b): pairs whose exact similarity is at least ``least``."""
+    full = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("text").alias("tb")), "b")
 
     def verify(batches):
         import pyarrow as pa
@@ -163,57 +173,125 @@ def _verified(pairs: DataFrame, sigs: DataFrame, texts: DataFrame, gram: int, th
                     last, held = x, shingles(s, gram)
                 other = shingles(t, gram)
                 shared = len(held & other)
-                sim = shared / max(1, len(held) + len(other) - shared)
-                if sim >= threshold:
-                    out.append((x, y, sim))
-            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], k) for i, k in enumerate((pa.int64(), pa.int64(), pa.float64()))], ["a", "b", "sim"])
+                if shared >= least * (len(held) + len(other) - shared) - 1e-12:
+                    out.append((x, y))
+            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], pa.int64()) for i in (0, 1)], ["a", "b"])
+
+    return full.select("a", "b", "ta", "tb").mapInArrow(verify, "a long, b long")
+
+
+def _block_pairs(table, apart: str, limits) -> tuple[np.ndarray, np.ndarray]:
+    """Positions (i, j) of the pairs of two blocks (or inside one) that differ in ``apart`` and survive pruning."""
+    lo, hi = table.column("lo")[0].as_py(), table.column("hi")[0].as_py()
+    block, group = np.asarray(table.column("block")), np.asarray(table.column(apart))
+    sig = np.asarray(table.column("sig").combine_chunks().flatten()).reshape(-1, HASHES)
+    right = np.flatnonzero(block == hi)
+    found = []
+    for i in np.flatnonzero(block == lo):
+        other = right if lo != hi else right[right > i]
+        other = other[group[other] != group[i]]
+        if len(other):
+            found += [(i, other[k]) for k in surviving(np.broadcast_to(sig[i], (len(other), HASHES)), sig[other], limits)]
+    x = np.array(found, np.int64).reshape(-1, 2)
+    return x[:, 0], x[:, 1]
+
+
+def _within(members: DataFrame, gram: int, threshold: float) -> DataFrame:
+    """(id, links, least): links of texts inside their families, by pairs of blocks; members: fam, id, core, n, sig, text."""
+    limits = least_agreeing(threshold)
+    dealt = blocks_of(members)
+
+    def run(table):
+        import pyarrow as pa
+
+        ids, n = np.asarray(table.column("id")), np.asarray(table.column("n"))
+        sets: dict[int, set] = {}
+        links, least = np.zeros(len(ids), np.int64), np.arange(len(ids))
+
+        def root(i):
+            while least[i] != i:
+                least[i] = i = least[least[i]]
+            return i
 
-    return full.select("a", "b", "ta", "tb").mapInArrow(verify, "a long, b long, sim double")
+        def held(i):
+            if i not in sets:
+                sets[i] = shingles(table.column("text")[i].as_py(), gram)
+            return sets[i]
 
+        for i, j in zip(*map(np.ndarray.tolist, _block_pairs(table, "core", limits)), strict=True):
+            a, b = held(i), held(j)
+            shared = len(a & b)
+            if shared >= threshold * (len(a) + len(b) - shared) - 1e-12:
+                links[i] += n[j]
+                links[j] += n[i]
+                a, b = root(i), root(j)
+                least[max((ids[a], a), (ids[b], b))[1]] = min((ids[a], a), (ids[b], b))[1]
+        low = ids[[root(i) for i in range(len(ids))]]
+        some = np.flatnonzero(links)
+        return pa.table({"id": pa.array(ids[some], pa.int64()), "links": pa.array(links[some], pa.int64()), "least": pa.array(low[some], pa.int64())})
+
+    return dealt.groupBy("fam", "lo", "hi").applyInArrow(run, "id long, links long, least long")
+
+
+def blocks_of(members: DataFrame) -> DataFrame:
+    """Blocks of at most about ``BLOCK_TEXTS`` texts and ``BLOCK_CHARS`` characters."""
+    weight = F.greatest(F.lit(BLOCK_CHARS // BLOCK_TEXTS), F.length("text"))
+    return buckets.blocks(members, "fam", weight, BLOCK_CHARS)
+
+
+def _beyond(mixed: DataFrame, threshold: float) -> DataFrame:
+    """(a, b): pairs of one bucket and different families that survive pruning; mixed: key, id, grp, sig."""
+    limits = least_agreeing(threshold)
+    dealt = buckets.blocks(mixed, "key", F.lit(1), BLOCK_TEXTS)
 
-def join(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD):
-    """The parts of the join: classes (h1, h2, h3, id, n), explicit links (a, b, sim), cores (id, grp)."""
+    def run(table):
+        import pyarrow as pa
+
+        ids = np.asarray(table.column("id"))
+        i, j = _block_pairs(table, "grp", limits)
+        return pa.table({"a": pa.array(np.minimum(ids[i], ids[j]), pa.int64()), "b": pa.array(np.maximum(ids[i], ids[j]), pa.int64())})
+
+    return dealt.groupBy("key", "lo", "hi").applyInArrow(run, "a long, b long").distinct()
+
+
+def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD) -> DataFrame:
+    """One row per document; see the module's text."""
     prepare(docs.sparkSession)
     reps = settle(classes(docs, gram), "classes")
-    signed = reps.where("sig is not null").select("id", "sig")
+    signed = reps.where("sig is not null").select("id", "n", "sig")
     keys = F.array(*[F.xxhash64(F.lit(b), *[F.element_at("sig", b * ROWS + r + 1) for r in range(ROWS)]) for b in range(HASHES // ROWS)])
     m = settle(buckets.members(signed.select("id", F.explode(keys).alias("key"))), "buckets")
     ids = m.select("id").distinct()
     some = settle(signed.join(ids, "id", "left_semi"), "signatures")
-    texts = settle(docs.select(F.col("doc_id").cast("long").alias("id"), F.coalesce("text", F.lit("")).alias("text"), *_text_key(F.col("text"))).join(reps.select("id", "h1", "h2", "h3").join(ids, "id", "left_semi"), ["id", "h1", "h2", "h3"], "left_semi").select("id", "text").dropDuplicates(["id"]), "texts")
-    first = settle(_verified(buckets.star(m), some, texts, gram, threshold), "links")
-    near = 1 - (1 - threshold) / 2
-    cores = settle(first.where(F.col("sim") >= near).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("grp")), "cores")
-    rest = settle(_verified(buckets.across(m, cores, buckets.star(m)), some, texts, gram, threshold), "links")
-    links = first.unionByName(rest)
-    grp = lambda side: cores.select(F.col("id").alias(side), F.col("grp").alias(f"g{side}"))
-    told = links.join(grp("a"), "a", "left").join(grp("b"), "b", "left").where(F.coalesce("ga", "a") != F.coalesce("gb", "b")).select("a", "b", "sim")
-    return reps, told, cores
-
+    kept = settle(_pruned(buckets.star(m), some, threshold), "star")
+    fam = settle(connected(kept.select(F.col("a").alias("src"), F.col("b").alias("dst"))).withColumnRenamed("comp", "grp"), "families")
+    beyond = settle(_beyond(buckets.mixed(m, fam).join(some.select("id", "sig"), "id"), threshold), "beyond")
+    wanted = fam.select("id").union(beyond.select("a")).union(beyond.select("b")).distinct()
+    named = reps.select("id", "h1", "h2", "h3").join(wanted, "id", "left_semi")
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.coalesce("text", F.lit("")).alias("text"), *_text_key(F.col("text")))
+    texts = settle(texts.join(named, ["id", "h1", "h2", "h3"], "left_semi").select("id", "text").dropDuplicates(["id"]), "texts")
 
-def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD) -> DataFrame:
-    """One row per document; see the module's text."""
-    reps, links, cores = join(docs, gram, threshold)
-    links = settle(links.select("a", "b"), "links")
-    weight = reps.select("id", "n")
-    ends = links.select(F.col("a").alias("id"), F.col("b").alias("other")).union(links.select(F.col("b").alias("id"), F.col("a").alias("other")))
-    outside = ends.join(weight.select(F.col("id").alias("other"), "n"), "other").groupBy("id").agg(F.sum("n").alias("outside"))
-    # a core's own name is a text too: it belongs to the core unless it lies in another one
-    heads = cores.select(F.col("grp").alias("id")).distinct().join(cores.select("id"), "id", "left_anti").select("id", F.col("id").alias("grp"))
-    inside = cores.union(heads).join(weight, "id")
-    sizes = inside.groupBy("grp").agg(F.sum("n").alias("core"))
-    inside = inside.join(sizes, "grp").select("id", "core")
-    comp = connected(links.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(cores.select(F.col("id").alias("src"), F.col("grp").alias("dst"))))
-    per_class = (
-        reps.drop("sig").withColumn("words", F.col("id").isNotNull()).join(inside, "id", "left").join(outside, "id", "left").join(comp, "id", "left")
-        .join(reps.where("sig is null").select("id", F.lit(True).alias("bare")), "id", "left")
-    )
-    copies = F.when(F.col("bare"), F.lit(1)).otherwise(F.coalesce("core", "n"))
-    per_class = per_class.select("h1", "h2", "h3", F.col("id").alias("class_id"), F.col("n").alias("n_copies"), (copies - 1 + F.coalesce("outside", F.lit(0))).alias("n_links"), F.when(F.col("bare"), None).otherwise(F.coalesce("comp", "id")).alias("group_id"))
+    near = 1 - (1 - threshold) / 2
+    cores = settle(_verified(kept, texts, gram, near).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("core")), "cores")
+    # a core's name is a text of it, too, unless that text lies in another core
+    of = fam.select("id", F.col("grp").alias("fam")).join(cores, "id", "left").select("id", "fam", F.coalesce("core", "id").alias("core")).join(some, "id")
+    several = of.groupBy("fam").agg(F.min("core").alias("lo"), F.max("core").alias("hi")).where("lo != hi").select("fam")
+    inside = settle(_within(of.join(several, "fam", "left_semi").join(texts, "id"), gram, threshold), "inside")
+    outside = settle(_verified(beyond, texts, gram, threshold), "outside")
+
+    sizes = of.groupBy("core").agg(F.sum("n").alias("core_n"))
+    in_core = of.select("id", "core").join(sizes, "core").select("id", "core_n")
+    ends = outside.select(F.col("a").alias("id"), F.col("b").alias("other")).union(outside.select(F.col("b").alias("id"), F.col("a").alias("other")))
+    counted = inside.select("id", "links").union(ends.join(reps.select(F.col("id").alias("other"), "n"), "other").select("id", F.col("n").alias("links"))).groupBy("id").agg(F.sum("links").alias("more"))
+    edges = inside.select(F.col("id").alias("src"), F.col("least").alias("dst")).union(outside.select("a", "b")).union(cores.select("id", "core"))
+    comp = connected(edges)
+    per_class = reps.withColumn("bare", F.col("sig").isNull()).drop("sig").join(in_core, "id", "left").join(counted, "id", "left").join(comp, "id", "left")
+    alike = F.when(F.col("bare"), F.lit(1)).otherwise(F.coalesce("core_n", "n"))
+    per_class = per_class.select("h1", "h2", "h3", F.col("id").alias("class_id"), F.col("n").alias("n_copies"), (alike - 1 + F.coalesce("more", F.lit(0))).alias("n_links"), F.when(~F.col("bare"), F.coalesce("comp", "id")).alias("group_id"))
     keyed = docs.select(F.col("doc_id").cast("long"), *_text_key(F.col("text")))
     out = keyed.join(per_class, ["h1", "h2", "h3"], "left")
-    named = F.col("doc_id").isNotNull()
-    return out.select("doc_id", *[F.when(named, F.col(c)).alias(c) for c in ("class_id", "n_copies", "n_links")], F.when(named, F.coalesce("group_id", "doc_id")).alias("group_id"))
+    has_id = F.col("doc_id").isNotNull()
+    return out.select("doc_id", *[F.when(has_id, F.col(c)).alias(c) for c in ("class_id", "n_copies", "n_links")], F.when(has_id, F.coalesce("group_id", "doc_id")).alias("group_id"))
 
 
 def keep_one(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD) -> DataFrame:
