@@ -170,13 +170,18 @@ def _keys(word: str) -> tuple[str, ...]:
 
 
 def _lopsided(texts: list[list[str]], labels: np.ndarray) -> dict[str, float]:
-    """Log odds of words and of their beginnings between labels, by documents."""
-    seen = [{}, {}]
-    for ws, y in zip(texts, labels, strict=True):
+    """Log odds of words and of their beginnings between labels, by documents; only of those seen in toxic ones."""
+    toxic: dict[str, int] = {}
+    for ws in (t for t, y in zip(texts, labels, strict=True) if y):
         for k in {k for x in set(ws) for k in _keys(x)}:
-            seen[y][k] = seen[y].get(k, 0) + 1
+            toxic[k] = toxic.get(k, 0) + 1
+    toxic = {k: n for k, n in toxic.items() if n > 1}
+    clean = dict.fromkeys(toxic, 0)
+    for ws in (t for t, y in zip(texts, labels, strict=True) if not y):
+        for k in {k for x in set(ws) for k in _keys(x) if k in clean}:
+            clean[k] += 1
     n1, n0 = max(int(labels.sum()), 1), max(int((1 - labels).sum()), 1)
-    return {k: np.log((v + 0.1) / n1) - np.log((seen[0].get(k, 0) + 0.1) / n0) for k, v in seen[1].items() if v > 1}
+    return {k: np.log((n + 0.1) / n1) - np.log((clean[k] + 0.1) / n0) for k, n in toxic.items()}
 
 
 def _summed(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
@@ -190,33 +195,32 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Network | None:
     if len(set(labels)) < 2:
         return None
     rng = np.random.default_rng(seed)
-    cut = [words_of(t) for t in texts]
-    odds = _lopsided(cut, y)
-    vocab: dict[str, int] = {}
-    rows = [np.array([vocab.setdefault(w, len(vocab)) for w in ws], np.int64) for ws in cut]
-    value = np.array([max(odds.get(k, 0.0) for k in _keys(w)) for w in vocab])
-    net, words = Network(seed), list(vocab)
-    own, ids, lens = features(words)
-    ends = np.cumsum(lens)
+    net = Network(seed)
 
     def pick(worth):
-        """Windows to learn from: each document's most telling one; of clean documents two more at random."""
-        shown, want = [], []
-        for i, (r, label) in enumerate(zip(rows, y, strict=True)):
-            if len(r):
-                begins = windows(len(r))
-                for k in {worth(i, r, begins)} | (set() if label else set(rng.integers(0, len(begins), 2).tolist())):
-                    shown.append(r[begins[k] : begins[k] + WINDOW])
+        """Windows to learn from: each document's most telling one; of clean documents two more at random. Only their words are held."""
+        shown, want, vocab = [], [], {}
+        for i, (t, label) in enumerate(zip(texts, y, strict=True)):
+            ws = words_of(t)
+            if ws:
+                begins = windows(len(ws))
+                for k in {worth(i, ws, begins)} | (set() if label else set(rng.integers(0, len(begins), 2).tolist())):
+                    shown.append(np.array([vocab.setdefault(w, len(vocab)) for w in ws[begins[k] : begins[k] + WINDOW]], np.int64))
                     want.append(label)
-        return shown, np.array(want, np.float32)
+        return shown, np.array(want, np.float32), features(list(vocab))
 
-    shown, want = pick(lambda i, r, begins: int(np.argmax([value[r[b : b + WINDOW]].max() for b in begins])))
+    odds = _lopsided([words_of(t) for t in texts], y)
+    worth = lambda ws: np.array([max(odds.get(k, 0.0) for k in _keys(w)) for w in ws])
+    shown, want, (own, ids, lens) = pick(lambda i, ws, begins: int(np.argmax([v[b : b + WINDOW].max() for v in [worth(ws)] for b in begins])))
+    del odds
+    ends = np.cumsum(lens)
     m1, m2 = {k: np.zeros_like(v) for k, v in net.p.items()}, {k: np.zeros_like(v) for k, v in net.p.items()}
     step, epochs = 0, max(EPOCHS, -(-STEPS * BATCH // max(len(shown), 1)))
     for epoch in range(epochs):
         if epoch == epochs // 2:  # by now the network tells better than the odds which windows matter
-            seen = Scorer(net).window_logits(texts)
-            shown, want = pick(lambda i, r, begins: int(np.argmax(seen[i])))
+            seen = Scorer(net, 60_000).by_text(texts, lambda x: int(np.argmax(x)) if len(x) else 0)
+            shown, want, (own, ids, lens) = pick(lambda i, ws, begins: seen[i])  # noqa: B023
+            ends = np.cumsum(lens)
         order = rng.permutation(len(shown))
         for at in range(0, len(order), BATCH):
             part = order[at : at + BATCH]
@@ -247,7 +251,7 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Network | None:
                 m1[k] += np.float32(0.1) * (g[k] - m1[k])
                 m2[k] += np.float32(0.01) * (g[k] * g[k] - m2[k])
                 v -= rate * (m1[k] / (1 - 0.9**step)) / (np.sqrt(m2[k] / (1 - 0.99**step)) + np.float32(1e-6))
-    logit = Scorer(net).logits(texts)
+    logit = Scorer(net, 60_000).logits(texts)
     cuts = np.unique(logit[np.isfinite(logit)])
     mids = np.concatenate([(cuts[1:] + cuts[:-1]) / 2, [0.0]]) if len(cuts) > 1 else np.zeros(1)
     up, down = np.sort(logit[y == 1]), np.sort(logit[y == 0])
@@ -260,14 +264,14 @@ def train(texts: list[str], labels: list[int], seed: int = 7) -> Network | None:
 class Scorer:
     """Scores whole texts; projections of known words are kept."""
 
-    def __init__(self, net: Network):
-        self.net, self.index = net, {}
+    def __init__(self, net: Network, most_words: int = _MAX_WORDS):
+        self.net, self.index, self.most_words = net, {}, most_words
         self.table = np.zeros((1 << 12, 6 * HIDDEN), np.float32)
 
     def _rows(self, flat: list[str]) -> np.ndarray:
         new = set(flat).difference(self.index)
         if new:
-            if len(self.index) + len(new) > _MAX_WORDS:
+            if len(self.index) + len(new) > self.most_words:
                 self.index.clear()
                 new = set(flat)
             new = list(new)
@@ -301,12 +305,13 @@ class Scorer:
             out[part] = self.net.logits(self.table[flat[np.minimum(at, len(flat) - 1)]], real)
         return np.split(out, np.cumsum(count)[:-1]) if len(count) else []
 
+    def by_text(self, texts: list[str | None], what) -> list:
+        """``what`` of the window logits of each text, a bounded number of texts at a time."""
+        return [what(x) for i, j in slices(texts, 500_000) for x in self.window_logits(texts[i:j])]
+
     def logits(self, texts: list[str | None]) -> np.ndarray:
         """Worst window's logit of each text; minus infinity without words."""
-        out: list[float] = []
-        for i, j in slices(texts):
-            out += [x.max() if len(x) else -np.inf for x in self.window_logits(texts[i:j])]
-        return np.array(out)
+        return np.array(self.by_text(texts, lambda x: x.max() if len(x) else -np.inf))
 
 
 def sample(docs: DataFrame, labels: DataFrame, n: int = SAMPLE) -> tuple[list[str], list[int]]:
