@@ -1,4 +1,5 @@
-"""Registry of the workloads; each module adds its queries and their SQL twins."""
+"""Experiment workloads and operator demonstrations, each with its SQL twin where SQL can express it."""
+
+from mlcurate.workloads import dedup, filters, lid, rehydration  # noqa: F401
+from mlcurate.workloads.registry import ORACLES, QUERIES  # noqa: F401
 
-QUERIES: dict = {}
-ORACLES: dict = {}
