@@ -26,8 +26,14 @@ def local_session(cores: str | int = "*", shuffle_partitions: int = 8, memory: s
     )
 
 
+#: Rows of an Arrow batch; the default of ten thousand long texts fills workers for nothing.
+ARROW_ROWS = 1000
+
+
 def prepare(spark: SparkSession) -> SparkSession:
-    """Let Python workers import this package, whatever the driver's own path looks like."""
+    """Let Python workers import this package, whatever the driver's own path looks like, and send them texts in small batches."""
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(ARROW_ROWS))
     env = spark.sparkContext.environment
     if ROOT not in env.get("PYTHONPATH", "").split(os.pathsep):
         env["PYTHONPATH"] = os.pathsep.join(x for x in (ROOT, env.get("PYTHONPATH", "")) if x)
