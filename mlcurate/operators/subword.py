@@ -9,6 +9,7 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -39,8 +40,6 @@ def greedy(vocab: list[str]) -> Encoder:
 
 def by_merges(merges: list[tuple[str, str]]) -> Encoder:
     """Pieces by a trained list of merges, in Arrow batches."""
-    import pandas as pd
-
     rank = {p: i for i, p in enumerate(merges)}
 
     def pieces(word: str) -> int:
