@@ -28,7 +28,7 @@ def text_by_sql(html: Column) -> Column:
     for k, v in ENTITIES.items():
         x = F.replace(x, F.lit(k), F.lit(v))
     x = F.regexp_replace(x, r"[ \t]+", " ")
-    return F.trim(F.regexp_replace(F.regexp_replace(x, r" ?\n ?", "\n"), r"\n+", "\n"))
+    return F.regexp_replace(F.regexp_replace(F.regexp_replace(x, r" ?\n ?", "\n"), r"\n+", "\n"), r"^[ \n]+|[ \n]+$", "")
 
 
 def title(html: Column) -> Column:

@@ -11,6 +11,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from mlcurate.session import settle
+
 
 def assign(nodes: DataFrame, shared: dict[str, str] | None = None, by_script: bool = False) -> DataFrame:
     """(node, script, tokenizer, via) of the leaves.
@@ -25,17 +27,18 @@ def assign(nodes: DataFrame, shared: dict[str, str] | None = None, by_script: bo
     while True:  # a round per level of the tree
         up = up.join(edges, "node").where(F.col("parent").isNotNull() & ~F.col("parent").isin(roots)).select(F.col("parent").alias("node"), "script", "tokenizer", "size")
         up = up.groupBy("node", "script").agg(F.max(F.struct("size", "tokenizer")).alias("b")).select("node", "script", "b.tokenizer", "b.size")
+        up = settle(up, "tree")
         if up.isEmpty():
             break
         every = every.unionByName(up)
-    best = every.groupBy("node", "script").agg(F.max_by("tokenizer", F.struct("size", "tokenizer")).alias("tokenizer"))
+    best = settle(every.groupBy("node", "script").agg(F.max_by("tokenizer", F.struct("size", "tokenizer")).alias("tokenizer")), "tree")
     leaves = nodes.where("script is not null").select("node", "script", F.col("node").alias("at"), F.lit(0).alias("steps"), "size")
-    found = leaves.join(best.withColumnRenamed("node", "at"), ["at", "script"], "left")
+    found = settle(leaves.join(best.withColumnRenamed("node", "at"), ["at", "script"], "left"), "tree")
     done, open_ = found.where("tokenizer is not null"), found.where("tokenizer is null").drop("tokenizer")
     while not open_.isEmpty():
         nxt = open_.join(edges.select(F.col("node").alias("at"), F.col("parent").alias("above")), "at").where(F.col("above").isNotNull() & ~F.col("above").isin(roots))
         nxt = nxt.select("node", "script", F.col("above").alias("at"), (F.col("steps") + 1).alias("steps"), "size")
-        found = nxt.join(best.withColumnRenamed("node", "at"), ["at", "script"], "left")
+        found = settle(nxt.join(best.withColumnRenamed("node", "at"), ["at", "script"], "left"), "tree")
         done, open_ = done.unionByName(found.where("tokenizer is not null").select(done.columns)), found.where("tokenizer is null").drop("tokenizer")
     got = nodes.where("script is not null").select("node", "script", "size").join(done.select("node", "tokenizer", F.col("at")), "node", "left")
     via = F.when(F.col("at") == F.col("node"), "native").when(F.col("at").isNotNull(), F.col("at").cast("string"))

@@ -153,7 +153,7 @@ def _html_sql() -> str:
         v = v.replace("'", "''")
         x = f"replace({x}, '{k}', '{v}')"
     x = f"regexp_replace({x}, '[ \\t]+', ' ', 'g')"
-    return f"trim(regexp_replace(regexp_replace({x}, ' ?\\n ?', chr(10), 'g'), '\\n+', chr(10), 'g'))"
+    return f"regexp_replace(regexp_replace(regexp_replace({x}, ' ?\\n ?', chr(10), 'g'), '\\n+', chr(10), 'g'), '^[ \\n]+|[ \\n]+$', '', 'g')"
 
 
 @query(f"SELECT page_id, trim(regexp_extract(html, '(?is)<title>(.*?)</title>', 1)) AS title, length(x)::BIGINT AS n_chars, md5(x) AS text_md5 FROM (SELECT page_id, html, {_html_sql()} AS x FROM pages)")
