@@ -35,7 +35,7 @@ SAMPLE, SAMPLE_CHARS = 1500, 100_000
 WORD_ROWS, GRAM_ROWS, WORD_DIM, GRAM_DIM, HIDDEN, ATTEND = 1 << 13, 1 << 15, 8, 8, 8, 8
 GRAMS = (3, 5, 8)
 EPOCHS, STEPS, BATCH, RATE = 8, 400, 64, 0.01  # STEPS: at least so many, by more epochs where data are few
-_MAX_WORDS = 300_000
+_MAX_WORDS = 200_000
 _MARKS = re.compile(r"[\W_]+")
 
 
@@ -277,14 +277,15 @@ class Scorer:
             new = list(new)
             at = len(self.index)
             if at + len(new) > len(self.table):
-                self.table = np.concatenate([self.table, np.zeros((max(len(self.table), at + len(new)), 6 * HIDDEN), np.float32)])
+                more = max(len(self.table) // 4, at + len(new) - len(self.table))
+                self.table = np.concatenate([self.table, np.zeros((more, 6 * HIDDEN), np.float32)])
             for i in range(0, len(new), 20_000):
                 part = new[i : i + 20_000]
                 self.table[at + i : at + i + len(part)] = self.net.project(self.net.embed(*features(part)))
             self.index.update(zip(new, range(at, at + len(new)), strict=True))
         return np.fromiter(map(self.index.__getitem__, flat), np.int64, len(flat))
 
-    def window_logits(self, texts: list[str | None], most: int = 4096) -> list[np.ndarray]:
+    def window_logits(self, texts: list[str | None], most: int = 2048) -> list[np.ndarray]:
         """Logits of all windows of each text."""
         cut = [words_of(t) for t in texts]
         flat = self._rows([w for ws in cut for w in ws])
@@ -336,20 +337,22 @@ def score(docs: DataFrame, net: Network | None, keep: tuple[str, ...] = ()) -> D
         out = docs.select(*keep, F.col("doc_id").cast("long"), F.lit(0.0).alias("score"))
     else:
         model = spark.sparkContext.broadcast(net)  # some hundred KB
-        part = docs.select(*[F.col(c).alias(f"k_{c}") for c in keep], F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("__text"))
-        names = [f.name for f in part.schema.fields[:-1]]
+        # the text goes to the workers once, also where it is kept
+        part = docs.select(*[F.col(c).alias(f"k_{c}") for c in keep], F.col("doc_id").cast("long").alias("doc_id"), *([] if "text" in keep else [F.col("text").alias("k_text")]))
+        fields = [f for f in part.schema.fields if f.name != "k_text" or "text" in keep]
+        names = [f.name for f in fields]
 
         def run(batches):
             import pyarrow as pa
 
             s = Scorer(model.value)
             for b in batches:
-                x = s.logits(b.column(b.num_columns - 1).to_pylist())
-                yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(0.5 * (np.tanh(0.5 * np.clip(x, -80, 80)) + 1) * np.isfinite(x), pa.float64())], [*names, "score"])
+                x = s.logits(b.column("k_text").to_pylist())
+                yield pa.RecordBatch.from_arrays([*[b.column(c) for c in names], pa.array(0.5 * (np.tanh(0.5 * np.clip(x, -80, 80)) + 1) * np.isfinite(x), pa.float64())], [*names, "score"])
 
         from pyspark.sql.types import DoubleType, StructType
 
-        out = part.mapInArrow(run, StructType(part.schema.fields[:-1]).add("score", DoubleType()))
+        out = part.mapInArrow(run, StructType(fields).add("score", DoubleType()))
         out = out.withColumnsRenamed({f"k_{c}": c for c in keep})
     held = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 5 == 0
     return out.select(*keep, "doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
