@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from mlcurate.io import table
+from mlcurate.llm import oracles
 
 
 def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -70,5 +71,10 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op4_line_dedup, op5_bpe, op6_pii, op7_licenses, op8_gif, op9_decontamination, op10_toxicity)}
-ORACLES: dict[str, str] = {}
+def llm_pii_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of op6_pii that SQL can express."""
+    return op6_pii(spark, sf_dir).drop("spans", "top_score")
+
+
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_counts, op3_token_id_files, op4_line_dedup, op5_bpe, op6_pii, op7_licenses, op8_gif, op9_decontamination, op10_toxicity, llm_pii_base)}
+ORACLES = {"op1_jaccard_join": oracles.JACCARD, "op7_licenses": oracles.LICENSES, "llm_pii_base": oracles.PII_BASE}
