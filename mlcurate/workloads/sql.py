@@ -16,7 +16,7 @@ def grams(w: str, n) -> str:
 _TERMINAL = ", ".join("'" + c.replace("'", "''") + "'" for c in TERMINAL)
 
 _BASE = f"""
-base AS (SELECT doc_id, lang, text, {WORDS} AS w, {TOKENS} AS t,
+base AS MATERIALIZED (SELECT doc_id, lang, text, {WORDS} AS w, {TOKENS} AS t,
     list_filter(list_transform(string_split(text, chr(10)), lambda x: trim(x)), lambda x: x <> '') AS l FROM documents),
 mline AS (SELECT doc_id, len(l)::BIGINT AS n_lines,
     round((len(l) - len(list_distinct(l))) / greatest(len(l), 1), 9) AS dup_line_ratio,
@@ -31,29 +31,29 @@ mword AS (SELECT doc_id, len(w)::BIGINT AS n_words,
     round(len(list_filter(t, lambda x: NOT regexp_matches(x, '\\p{{L}}'))) / greatest(len(t), 1), 9) AS nonalpha_word_ratio FROM base)"""
 
 _REP = f"""
-nn AS (SELECT unnest([{", ".join(map(str, (*TOP, *DUP)))}])::BIGINT AS n),
 tot AS (SELECT doc_id, greatest(length(array_to_string(w, '')), 1) AS chars FROM base),
-gr AS (SELECT doc_id, n, unnest({grams("w", "n")}) AS s, unnest(range(1, len(w) - n + 2)) AS i FROM base, nn WHERE len(w) >= n),
-gc AS (SELECT doc_id, n, s, count(*) AS c, length(replace(any_value(s), ' ', '')) AS k FROM gr GROUP BY doc_id, n, s),
+ws AS MATERIALIZED (SELECT doc_id, i, x AS x0, {", ".join(f"lead(x, {k}) OVER o AS x{k}" for k in range(1, max(DUP)))} FROM (SELECT doc_id, unnest(w) AS x, unnest(range(1, len(w) + 1)) AS i FROM base) WINDOW o AS (PARTITION BY doc_id ORDER BY i)),
+gr AS MATERIALIZED ({" UNION ALL ".join(f"SELECT doc_id, {n}::BIGINT AS n, concat_ws(' ', {', '.join(f'x{k}' for k in range(n))}) AS s, i FROM ws WHERE x{n - 1} IS NOT NULL" for n in (*TOP, *DUP))}),
+gc AS MATERIALIZED (SELECT doc_id, n, s, count(*) AS c, length(replace(any_value(s), ' ', '')) AS k FROM gr GROUP BY doc_id, n, s),
 gt AS (SELECT doc_id, n, max(c) AS mc FROM gc WHERE n <= {max(TOP)} GROUP BY doc_id, n),
 top AS (SELECT gc.doc_id, gc.n, round(CASE WHEN any_value(mc) > 1 THEN any_value(mc) * max(k) / any_value(chars) ELSE 0 END, 9) AS v
     FROM gc JOIN gt ON gc.doc_id = gt.doc_id AND gc.n = gt.n AND gc.c = gt.mc JOIN tot ON tot.doc_id = gc.doc_id GROUP BY gc.doc_id, gc.n),
-wl AS (SELECT doc_id, unnest(list_transform(w, lambda x: length(x))) AS k, unnest(range(1, len(w) + 1)) AS p FROM base),
-cov AS (SELECT DISTINCT gr.doc_id, gr.n, unnest(range(gr.i, gr.i + gr.n)) AS p FROM gr JOIN gc ON gr.doc_id = gc.doc_id AND gr.n = gc.n AND gr.s = gc.s WHERE c > 1 AND gr.n >= {min(DUP)}),
+wl AS MATERIALIZED (SELECT doc_id, unnest(list_transform(w, lambda x: length(x))) AS k, unnest(range(1, len(w) + 1)) AS p FROM base),
+cov AS MATERIALIZED (SELECT DISTINCT gr.doc_id, gr.n, unnest(range(gr.i, gr.i + gr.n)) AS p FROM gr JOIN gc ON gr.doc_id = gc.doc_id AND gr.n = gc.n AND gr.s = gc.s WHERE c > 1 AND gr.n >= {min(DUP)}),
 dup AS (SELECT cov.doc_id, cov.n, round(sum(k) / any_value(chars), 9) AS v FROM cov JOIN wl ON cov.doc_id = wl.doc_id AND cov.p = wl.p JOIN tot ON tot.doc_id = cov.doc_id GROUP BY cov.doc_id, cov.n),
-mrep AS (SELECT base.doc_id, {", ".join(f"coalesce(max(top.v) FILTER (top.n = {n}), 0) AS top_{n}gram_char_ratio" for n in TOP)} FROM base LEFT JOIN top ON base.doc_id = top.doc_id GROUP BY base.doc_id),
-mdup AS (SELECT base.doc_id, {", ".join(f"coalesce(max(dup.v) FILTER (dup.n = {n}), 0) AS dup_{n}gram_char_ratio" for n in DUP)} FROM base LEFT JOIN dup ON base.doc_id = dup.doc_id GROUP BY base.doc_id)"""
+mrep AS MATERIALIZED (SELECT base.doc_id, {", ".join(f"coalesce(max(top.v) FILTER (top.n = {n}), 0) AS top_{n}gram_char_ratio" for n in TOP)} FROM base LEFT JOIN top ON base.doc_id = top.doc_id GROUP BY base.doc_id),
+mdup AS MATERIALIZED (SELECT base.doc_id, {", ".join(f"coalesce(max(dup.v) FILTER (dup.n = {n}), 0) AS dup_{n}gram_char_ratio" for n in DUP)} FROM base LEFT JOIN dup ON base.doc_id = dup.doc_id GROUP BY base.doc_id)"""
 
 LINES, REP = _BASE.strip(), _REP.strip()
 #: m: every metric of every document.
-METRICS = f"{LINES},\n{REP},\nm AS (SELECT * FROM (SELECT doc_id, lang FROM documents) d JOIN mline USING (doc_id) JOIN mword USING (doc_id) JOIN mrep USING (doc_id) JOIN mdup USING (doc_id))"
+METRICS = f"{LINES},\n{REP},\nm AS MATERIALIZED (SELECT * FROM (SELECT doc_id, lang FROM documents) d JOIN mline USING (doc_id) JOIN mword USING (doc_id) JOIN mrep USING (doc_id) JOIN mdup USING (doc_id))"
 
 _LONG = " UNION ALL ".join(f"SELECT doc_id, lang, '{r}' AS rule, '{g}' AS grp, '{d}' AS direction, {float(t)}::DOUBLE AS t_en, {m}::DOUBLE AS v FROM m" for r, (g, m, d, t) in RULES.items())
 #: st: statistics by reference, language and rule; cuts: thresholds by every method.
 CUTS = f"""{METRICS},
 lg AS ({_LONG}),
-refs AS (SELECT 'cc' AS ref, * FROM lg UNION ALL SELECT 'wiki' AS ref, lg.* FROM lg JOIN labels USING (doc_id) WHERE quality = 1 AND toxic = 0),
-st AS (SELECT ref, lang, rule, grp, direction, t_en, avg(v) AS mean, stddev_pop(v) AS std, quantile_cont(v, 0.5) AS med, list(v ORDER BY v) AS vs, count(*) AS n,
+refs AS MATERIALIZED (SELECT 'cc' AS ref, * FROM lg UNION ALL SELECT 'wiki' AS ref, lg.* FROM lg JOIN labels USING (doc_id) WHERE quality = 1 AND toxic = 0),
+st AS MATERIALIZED (SELECT ref, lang, rule, grp, direction, t_en, avg(v) AS mean, stddev_pop(v) AS std, quantile_cont(v, 0.5) AS med, list(v ORDER BY v) AS vs, count(*) AS n,
     avg(CASE WHEN (direction = 'max' AND v > t_en) OR (direction = 'min' AND v < t_en) THEN 1.0 ELSE 0.0 END) AS r FROM refs GROUP BY ALL),
 en AS (SELECT ref, rule, mean AS en_mean, std AS en_std, med AS en_med, r AS en_r FROM st WHERE lang = 'en'),
 s2 AS (SELECT st.*, en_mean, en_std, en_med, CASE WHEN direction = 'max' THEN 1 - en_r ELSE en_r END AS pq, CASE WHEN direction = 'max' THEN 1 - 0.1::DOUBLE ELSE 0.1::DOUBLE END AS pt FROM st JOIN en USING (ref, rule)),
