@@ -52,7 +52,9 @@ _LONG = " UNION ALL ".join(f"SELECT doc_id, lang, '{r}' AS rule, '{g}' AS grp, '
 #: st: statistics by reference, language and rule; cuts: thresholds by every method.
 CUTS = f"""{METRICS},
 lg AS ({_LONG}),
-refs AS MATERIALIZED (SELECT 'cc' AS ref, * FROM lg UNION ALL SELECT 'wiki' AS ref, lg.* FROM lg JOIN labels USING (doc_id) WHERE quality = 1 AND toxic = 0),
+enough AS (SELECT lang FROM documents JOIN labels USING (doc_id) WHERE quality = 1 AND toxic = 0 GROUP BY lang HAVING count(*) >= 20),
+refs AS MATERIALIZED (SELECT 'cc' AS ref, * FROM lg UNION ALL SELECT 'wiki' AS ref, lg.* FROM lg JOIN labels USING (doc_id) WHERE quality = 1 AND toxic = 0 AND lang IN (FROM enough)
+    UNION ALL SELECT 'wiki' AS ref, lg.* FROM lg WHERE lang NOT IN (FROM enough)),
 st AS MATERIALIZED (SELECT ref, lang, rule, grp, direction, t_en, avg(v) AS mean, stddev_pop(v) AS std, quantile_cont(v, 0.5) AS med, list(v ORDER BY v) AS vs, count(*) AS n,
     avg(CASE WHEN (direction = 'max' AND v > t_en) OR (direction = 'min' AND v < t_en) THEN 1.0 ELSE 0.0 END) AS r FROM refs GROUP BY ALL),
 en AS (SELECT ref, rule, mean AS en_mean, std AS en_std, med AS en_med, r AS en_r FROM st WHERE lang = 'en'),
