@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import uuid
 from pathlib import Path
@@ -44,7 +46,9 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that the cluster shares for intermediate tables (spark.checkpoint.dir); a temporary one only where none is named."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not named:
-        named = f"file://{tempfile.gettempdir()}/mlcurate-shared"
+        own = tempfile.mkdtemp(prefix="mlcurate-")
+        atexit.register(shutil.rmtree, own, ignore_errors=True)
+        named = f"file://{own}"
     if not spark.sparkContext.getCheckpointDir():
         spark.sparkContext.setCheckpointDir(named)
     return named.rstrip("/")
