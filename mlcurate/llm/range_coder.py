@@ -3,13 +3,14 @@
 Ids are cut into blocks of ``BLOCK``; each block starts from a fresh model and a
 fresh coder and carries a CRC-32 of its ids, so any block can be decoded, or found
 broken, on its own. All blocks of a segment advance in lockstep, one id a step, as
-the lanes of numpy arrays, which is what makes an adaptive coder affordable here.
+the lanes of numpy arrays, which is what makes an adaptive coder affordable here. Tables are laid out with lanes last, so that sums over
+outcomes and ranges run along whole arrays.
 
 Model of a block. Order 2 (hash of the last two ids) and order 1 (the last id) each
 predict one id with a confidence of 0 to 3. Two adaptive frequency tables, one
 chosen by each confidence, are added to mix what they say about three outcomes:
 order 2 was right, order 1 was right, neither. Ids that neither foresaw are coded
-with order-0 frequencies of their range of 2048 ids, all ids of a range alike.
+with order-0 frequencies of their range of 4096 ids, all ids of a range alike.
 
 Coder. Carry-less range coder with 64-bit low and range and 16-bit output words.
 """
@@ -22,12 +23,12 @@ import zlib
 import numpy as np
 
 #: Ids of a block, ids that one range of order 0 spans (as a power of two), slots of each prediction table.
-BLOCK, SPAN, SLOTS = 2048, 11, 512
+BLOCK, SPAN, SLOTS = 2048, 12, 512
 _RANGES = (1 << 16) >> SPAN
 _LIMIT0, _LIMIT = 900, 400
 _TOP, _BOT, _LOW = np.uint64(1 << 48), np.uint64(1 << 32), np.uint64((1 << 32) - 1)
 _16, _48, _ONE = np.uint64(16), np.uint64(48), np.uint64(1)
-_MAGIC = b"IDRC1"
+_MAGIC = b"IDRC2"
 
 
 class _Model:
@@ -36,39 +37,47 @@ class _Model:
         self.base = self.lane * SLOTS
         self.id2, self.id1 = np.zeros(lanes * SLOTS, np.uint16), np.zeros(lanes * SLOTS, np.uint16)
         self.sure2, self.sure1 = np.zeros(lanes * SLOTS, np.uint8), np.zeros(lanes * SLOTS, np.uint8)
-        self.by2, self.by1 = np.tile(np.array([1, 1, 4], np.int32), (lanes * 4, 1)), np.tile(np.array([1, 1, 4], np.int32), (lanes * 4, 1))
-        self.order0 = np.ones((lanes, _RANGES), np.int32)
+        # outcomes' frequencies by confidence: outcome, confidence * lanes + lane
+        first = np.array([1, 1, 4], np.int32)[:, None]
+        self.by2, self.by1 = np.repeat(first, lanes * 4, 1), np.repeat(first, lanes * 4, 1)
+        self.order0, self.total0 = np.ones((_RANGES, lanes), np.int32), np.full(lanes, _RANGES, np.int32)
         self.last1 = self.last2 = np.zeros(lanes, np.int64)
 
     def predict(self):
         """Predicted ids of order 2 and 1, and the frequencies of the three outcomes."""
-        self.slot1 = self.base + ((self.last1 * 40503 >> 4) & (SLOTS - 1))
-        self.slot2 = self.base + (((self.last1 * 40503) ^ (self.last2 * 30011)) >> 3 & (SLOTS - 1))
+        h = self.last1 * 40503
+        self.slot1 = self.base + (h >> 4 & (SLOTS - 1))
+        self.slot2 = self.base + ((h ^ (self.last2 * 30011)) >> 3 & (SLOTS - 1))
         p2, p1 = self.id2[self.slot2], self.id1[self.slot1]
-        self.at2, self.at1 = self.lane * 4 + self.sure2[self.slot2], self.lane * 4 + self.sure1[self.slot1]
-        f = self.by2[self.at2] + self.by1[self.at1]
-        f0, f1 = f[:, 0], np.where(p2 == p1, 0, f[:, 1])
-        return p2, p1, f0, f1, f0 + f1 + f[:, 2]
+        self.s2, self.s1 = self.sure2[self.slot2], self.sure1[self.slot1]
+        n = len(self.lane)
+        self.at2, self.at1 = self.s2 * np.int64(n) + self.lane, self.s1 * np.int64(n) + self.lane
+        self.row2, self.row1 = [b[self.at2] for b in self.by2], [b[self.at1] for b in self.by1]
+        f0 = self.row2[0] + self.row1[0]
+        f1 = (self.row2[1] + self.row1[1]) * (p2 != p1)
+        return p2, p1, f0, f1, f0 + f1 + self.row2[2] + self.row1[2]
 
     def learn(self, ids: np.ndarray, outcome: np.ndarray, p2: np.ndarray, p1: np.ndarray) -> None:
-        for by, at in ((self.by2, self.at2), (self.by1, self.at1)):
-            row = by[at]
-            row[self.lane, outcome] += 12
-            over = row.sum(1) > _LIMIT
-            if over.any():
-                row[over] = (row[over] >> 1) | 1
-            by[at] = row
-        for held, sure, slot, p in ((self.id2, self.sure2, self.slot2, p2), (self.id1, self.sure1, self.slot1, p1)):
-            s, right = sure[slot], p == ids
+        for by, at, row in ((self.by2, self.at2, self.row2), (self.by1, self.at1, self.row1)):
+            row = [r + (outcome == k) * np.int32(12) for k, r in enumerate(row)]
+            over = np.flatnonzero(row[0] + row[1] + row[2] > _LIMIT)
+            for b, r in zip(by, row, strict=True):
+                r[over] = (r[over] >> 1) | 1
+                b[at] = r
+        for held, sure, slot, p, s in ((self.id2, self.sure2, self.slot2, p2, self.s2), (self.id1, self.sure1, self.slot1, p1, self.s1)):
+            right = p == ids
             held[slot] = np.where(right | (s > 0), p, ids)
             sure[slot] = np.where(right, np.minimum(s + 1, 3), s >> 1)
         self.last2, self.last1 = self.last1, ids.astype(np.int64)
 
     def learn0(self, lanes: np.ndarray, of: np.ndarray) -> None:
-        self.order0[lanes, of] += 16
-        over = lanes[self.order0[lanes].sum(1) > _LIMIT0]
+        self.order0[of, lanes] += 16
+        self.total0[lanes] += 16
+        over = lanes[self.total0[lanes] > _LIMIT0]
         if len(over):
-            self.order0[over] = (self.order0[over] >> 1) | 1
+            half = (self.order0[:, over] >> 1) | 1
+            self.order0[:, over] = half
+            self.total0[over] = half.sum(0)
 
 
 def _unsettled(low: np.ndarray, wide: np.ndarray) -> np.ndarray:
@@ -107,12 +116,12 @@ def encode(ids: np.ndarray) -> bytes:
         if len(new):
             xs = x[new].astype(np.int64)
             of = xs >> SPAN
-            f = m.order0[new]
-            ends = np.cumsum(f, 1)
+            f = m.order0[:, new]
+            ends = np.cumsum(f, 0)
             pick = np.arange(len(new))
-            own = f[pick, of]
-            part = wide[new] // (ends[:, -1].astype(np.uint64) << np.uint64(SPAN))
-            low[new] += part * (((ends[pick, of] - own) << SPAN) + (xs & ((1 << SPAN) - 1)) * own).astype(np.uint64)
+            own = f[of, pick].astype(np.int64)
+            part = wide[new] // (ends[-1].astype(np.uint64) << np.uint64(SPAN))
+            low[new] += part * (((ends[of, pick] - own) << SPAN) + (xs & ((1 << SPAN) - 1)) * own).astype(np.uint64)
             wide[new] = part * own.astype(np.uint64)
             m.learn0(new, of)
         m.learn(x, outcome, p2, p1)
@@ -162,14 +171,14 @@ def decode(data: bytes) -> np.ndarray:
         wide = step * size.astype(np.uint64)
         new = np.flatnonzero(outcome == 2)
         if len(new):
-            f = m.order0[new]
-            ends = np.cumsum(f, 1)
+            f = m.order0[:, new]
+            ends = np.cumsum(f, 0)
             pick = np.arange(len(new))
-            part = wide[new] // (ends[:, -1].astype(np.uint64) << np.uint64(SPAN))
+            part = wide[new] // (ends[-1].astype(np.uint64) << np.uint64(SPAN))
             u = ((code[new] - low[new]) // part).astype(np.int64)
-            of = np.minimum((ends <= (u >> SPAN)[:, None]).sum(1), _RANGES - 1)
-            own = f[pick, of]
-            begins = (ends[pick, of] - own) << SPAN
+            of = np.minimum((ends <= (u >> SPAN)).sum(0), _RANGES - 1)
+            own = f[of, pick].astype(np.int64)
+            begins = (ends[of, pick] - own) << SPAN
             rest = np.minimum((u - begins) // own, (1 << SPAN) - 1)
             x[new] = (of << SPAN) | rest
             low[new] += part * (begins + rest * own).astype(np.uint64)
