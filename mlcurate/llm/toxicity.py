@@ -330,29 +330,38 @@ def fit(docs: DataFrame, labels: DataFrame, n: int = SAMPLE) -> Network | None:
     return train(*sample(docs, labels, n))
 
 
-def score(docs: DataFrame, net: Network | None, keep: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, held_out, score, predicted) of every document, and the columns of ``keep`` before them."""
+def _scored(docs: DataFrame, net: Network | None, keep: tuple[str, ...]) -> DataFrame:
+    """``keep`` columns as k_<name>, doc_id and __score."""
     spark = prepare(docs.sparkSession)
+    # the text goes to the workers once, also where it is kept
+    part = docs.select(*[F.col(c).alias(f"k_{c}") for c in keep], F.col("doc_id").cast("long").alias("doc_id"), *([] if "text" in keep else [F.col("text").alias("k_text")]))
+    fields = [f for f in part.schema.fields if f.name != "k_text" or "text" in keep]
+    names = [f.name for f in fields]
     if net is None:
-        out = docs.select(*keep, F.col("doc_id").cast("long"), F.lit(0.0).alias("score"))
-    else:
-        model = spark.sparkContext.broadcast(net)  # some hundred KB
-        # the text goes to the workers once, also where it is kept
-        part = docs.select(*[F.col(c).alias(f"k_{c}") for c in keep], F.col("doc_id").cast("long").alias("doc_id"), *([] if "text" in keep else [F.col("text").alias("k_text")]))
-        fields = [f for f in part.schema.fields if f.name != "k_text" or "text" in keep]
-        names = [f.name for f in fields]
-
-        def run(batches):
-            import pyarrow as pa
-
-            s = Scorer(model.value)
-            for b in batches:
-                x = s.logits(b.column("k_text").to_pylist())
-                yield pa.RecordBatch.from_arrays([*[b.column(c) for c in names], pa.array(0.5 * (np.tanh(0.5 * np.clip(x, -80, 80)) + 1) * np.isfinite(x), pa.float64())], [*names, "score"])
-
-        from pyspark.sql.types import DoubleType, StructType
-
-        out = part.mapInArrow(run, StructType(fields).add("score", DoubleType()))
-        out = out.withColumnsRenamed({f"k_{c}": c for c in keep})
+        return part.select(*names, F.lit(0.0).alias("__score"))
+    model = spark.sparkContext.broadcast(net)  # some hundred KB
+
+    def run(batches):
+        import pyarrow as pa
+
+        s = Scorer(model.value)
+        for b in batches:
+            x = s.logits(b.column("k_text").to_pylist())
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in names], pa.array(0.5 * (np.tanh(0.5 * np.clip(x, -80, 80)) + 1) * np.isfinite(x), pa.float64())], [*names, "__score"])
+
+    from pyspark.sql.types import DoubleType, StructType
+
+    return part.mapInArrow(run, StructType(fields).add("__score", DoubleType()))
+
+
+def score(docs: DataFrame, net: Network | None) -> DataFrame:
+    """(doc_id, held_out, score, predicted) of every document."""
     held = F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 5 == 0
-    return out.select(*keep, "doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return _scored(docs, net, ()).select("doc_id", held.alias("held_out"), F.col("__score").alias("score"), (F.col("__score") >= 0.5).cast("int").alias("predicted"))
+
+
+def clean(docs: DataFrame, net: Network | None) -> DataFrame:
+    """``docs`` without the documents that score 0.5 or more."""
+    names = docs.columns
+    x = _scored(docs.select(*names), net, tuple(c for c in names if c != "doc_id")).where("__score < 0.5")
+    return x.select(*[F.col("doc_id") if c == "doc_id" else F.col(f"k_{c}").alias(c) for c in names])

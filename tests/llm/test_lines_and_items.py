@@ -191,6 +191,9 @@ def test_toxicity_finds_planted_words(spark):
     assert right >= 0.95 * len(held)
     assert got[9001].score == got[9002].score == got[9003].score == 0 and got[None].held_out and got[None].predicted == 1
     assert x.fit(docs, lab.where("toxic = 0")) is None
+    odd = docs.withColumns({"predicted": docs.score, "k_text": docs.text})  # names that clash with those of results
+    left = x.clean(odd, x.fit(docs, lab))
+    assert left.columns == odd.columns and {r.doc_id for r in left.collect()} == {k for k, r in got.items() if not r.predicted}
     assert {r.predicted for r in x.score(docs, None).collect()} == {0}
     assert x.score(docs.limit(0), None).count() == 0
 
