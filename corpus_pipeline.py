@@ -18,9 +18,7 @@ from mlcurate.session import prepare, settle
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the network doesn't call toxic."""
-    net = toxicity.fit(docs, table(spark, sf_dir, "labels"))
-    scored = toxicity.score(docs, net, tuple(c for c in docs.columns if c != "doc_id"))
-    return scored.where(F.col("predicted") == 0).select(*docs.columns)
+    return toxicity.clean(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
