@@ -247,3 +247,15 @@ def test_line_dedup_tries_all_pairs_of_a_hot_template(spark):
     rows = list(enumerate(lines))
     got = d.drop_lines(spark.createDataFrame(rows, "doc_id long, text string"))
     assert {r.doc_id: r.text for r in got.collect()} == lines_by_brute_force(rows)
+
+
+def test_line_dedup_of_long_lines_without_spaces(spark):
+    from mlcurate.llm import line_dedup as d
+
+    rng = random.Random(7)
+    rows = [(0, "-" * 50), (1, "-" * 120), (2, "ab" * 20), (3, "ab" * 3000)]
+    for n in (90, 130, 160, 300, 2000):
+        x = "".join(chr(0x4E00 + rng.randrange(3000)) for _ in range(n))
+        rows += [(n, x), (n + 1, "甲乙丙丁戊己" + x[6:]), (n + 2, x + "甲" + x[: n // 16])]
+    got = d.drop_lines(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert {r.doc_id: r.text for r in got.collect()} == lines_by_brute_force(rows)
