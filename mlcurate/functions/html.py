@@ -13,7 +13,6 @@ from mlcurate.session import prepare
 DROPPED = ("script", "style", "nav", "head", "footer", "aside")
 BREAKS = "p|br|div|li|ul|ol|h[1-6]|tr|table|article|section|blockquote"
 ENTITIES = {"&nbsp;": " ", "&lt;": "<", "&gt;": ">", "&quot;": '"', "&#39;": "'", "&amp;": "&"}
-_MOST = 5_000_000
 
 
 def text_by_sql(html: Column) -> Column:
@@ -75,10 +74,10 @@ class _Reader(HTMLParser):
 
 
 def read(html: str | None, most_links: float = 0.5) -> tuple[str, str]:
-    """Title and text; never raises, and reads at most ``_MOST`` characters of a page."""
+    """Title and text; never raises."""
     r = _Reader()
     try:
-        r.feed((html or "")[:_MOST])
+        r.feed(html or "")
         r.close()
     except (AssertionError, ValueError):
         pass
