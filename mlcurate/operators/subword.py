@@ -6,7 +6,6 @@ tokenizer that can be said in expressions, or as an Arrow function, can be compa
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Callable
 
 import pandas as pd
@@ -14,6 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from mlcurate.functions import words as W
+from mlcurate.session import prepare, settle
 
 Encoder = Callable[[Column], Column]
 
@@ -66,32 +66,52 @@ def vocabulary(docs: DataFrame, size: int) -> list[str]:
     return [r.w for r in c.orderBy(F.desc("n"), "w").limit(size).collect()]
 
 
-def train_bpe(docs: DataFrame, merges: int, most_words: int = 50_000) -> list[tuple[str, str]]:
-    """Merges of the most frequent pairs, on word counts; at most ``most_words`` words come to the driver."""
-    c = docs.select(F.explode(W.words(F.col("text"))).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "w").limit(most_words)
-    words = {tuple(r.w): r.n for r in c.collect()}
-    out = []
-    for _ in range(merges):
-        pairs: Counter = Counter()
-        for w, n in words.items():
-            for p in zip(w, w[1:], strict=False):
-                pairs[p] += n
-        if not pairs:
+def _merged(word: list[str], merges: list[tuple[str, str]]) -> list[str]:
+    for a, b in merges:
+        if a not in word or b not in word:
+            continue
+        s, i = [], 0
+        while i < len(word):
+            both = i + 1 < len(word) and word[i] == a and word[i + 1] == b
+            s.append(a + b if both else word[i])
+            i += 2 if both else 1
+        word = s
+    return word
+
+
+def _safe(top: list[tuple[int, str, str]]) -> list[tuple[str, str]]:
+    """The leading pairs that stay the best ones one after the other, whatever merging those before does to counts.
+
+    A merge lowers only counts of pairs that share a symbol with it, and a new pair is no more frequent than the
+    pair that shared a symbol before; so a pair is safe while no such pair is as frequent. The last of ``top`` bounds what isn't in it."""
+    out: list[tuple[str, str]] = []
+    used: set[str] = set()
+    for n, a, b in top:
+        touched = any(m >= n and (x, y) not in out and used & {x, y} for m, x, y in top)
+        if out and (touched or n == top[-1][0]):
             break
-        best = min(pairs, key=lambda p: (-pairs[p], p))
-        out.append(best)
-        nxt: Counter = Counter()
-        for w, n in words.items():
-            s, i = [], 0
-            while i < len(w):
-                if i + 1 < len(w) and (w[i], w[i + 1]) == best:
-                    s.append(w[i] + w[i + 1])
-                    i += 2
-                else:
-                    s.append(w[i])
-                    i += 1
-            nxt[tuple(s)] += n
-        words = dict(nxt)
+        out.append((a, b))
+        used |= {a, b}
+        if a == b:
+            break
+    return out
+
+
+def train_bpe(docs: DataFrame, merges: int, top: int = 100) -> list[tuple[str, str]]:
+    """Merges of the most frequent pairs, on the counts of all words; only the ``top`` pairs of a round come to the driver."""
+    prepare(docs.sparkSession)
+    c = docs.select(F.explode(W.words(F.col("text"))).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n"))
+    words = settle(c.select(F.split("w", "").alias("w"), "n"), "words")
+    out: list[tuple[str, str]] = []
+    while len(out) < merges:
+        pairs = words.select("n", F.explode(F.arrays_zip(F.slice("w", 1, F.size("w") - 1).alias("a"), F.slice("w", 2, F.size("w")).alias("b"))).alias("p")).groupBy("p.a", "p.b").agg(F.sum("n").alias("n"))
+        best = [(r.n, r.a, r.b) for r in pairs.orderBy(F.desc("n"), "a", "b").limit(top).collect()]
+        if not best:
+            break
+        new = _safe(best)[: merges - len(out)]
+        out += new
+        step = F.udf(lambda w, new=new: _merged(w, new), "array<string>")
+        words = settle(words.select(step("w").alias("w"), "n"), "words")
     return out
 
 

@@ -158,7 +158,7 @@ def w_fertility_trained(spark, sf_dir):
     """Longest match with vocabularies of several sizes, and merges trained here."""
     docs = table(spark, sf_dir, "documents")
     enc = {f"greedy_{k}": subword.greedy(subword.vocabulary(docs, k)) for k in (256, 1024)}
-    return subword.fertility(docs, enc | {"merges_200": subword.by_merges(subword.train_bpe(docs, 200, 5000))})
+    return subword.fertility(docs, enc | {"merges_200": subword.by_merges(subword.train_bpe(docs, 200))})
 
 
 #: The regions as families, nations below them, customers' segments as languages; nations with even keys have their own tokenizer.

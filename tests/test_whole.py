@@ -7,3 +7,44 @@ def test_parser_reads_whole_pages():
     page = "<title>t</title>" + "<p>word word</p>" * 400_000 + "<p>the end</p>"
     assert len(page) > 5_000_000
     assert html.read(page)[1].endswith("\nthe end")
+
+
+def merges_by_hand(counts, merges):
+    from collections import Counter
+
+    words, out = {tuple(w): n for w, n in counts.items()}, []
+    while len(out) < merges:
+        pairs = Counter()
+        for w, n in words.items():
+            for p in zip(w, w[1:], strict=False):
+                pairs[p] += n
+        if not pairs:
+            break
+        a, b = min(pairs, key=lambda p: (-pairs[p], p))
+        out.append((a, b))
+        nxt = Counter()
+        for w, n in words.items():
+            s = []
+            for x in w:
+                if s and s[-1] == a and x == b and not (a == b and len(s) > 1 and s[-1] != a):
+                    s[-1] = a + b
+                else:
+                    s.append(x)
+            nxt[tuple(s)] += n
+        words = nxt
+    return out
+
+
+def test_merges_count_all_words(spark):
+    import random
+    from collections import Counter
+
+    from mlcurate.operators import subword
+
+    rng = random.Random(5)
+    rare = ["b" + "".join(rng.choice("cdefghij") for _ in range(8)) for _ in range(52_000)] + ["xy" + "".join(rng.choice("klmn") for _ in range(8)) for _ in range(20_000)]
+    common = ["".join(rng.choice("klmnopaa") for _ in range(rng.randrange(1, 7))) for _ in range(5000)] * 2
+    docs = spark.createDataFrame([(i, " ".join(x)) for i, x in enumerate([rare, common])], "doc_id long, text string")
+    got = subword.train_bpe(docs, 20)
+    assert got == merges_by_hand(Counter(rare + common), 20)
+    assert got[0] == ("x", "y")
