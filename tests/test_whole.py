@@ -48,3 +48,23 @@ def test_merges_count_all_words(spark):
     got = subword.train_bpe(docs, 20)
     assert got == merges_by_hand(Counter(rare + common), 20)
     assert got[0] == ("x", "y")
+
+
+def test_folds(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    from mlcurate.io import table
+    from mlcurate.operators import lid
+    from mlcurate.plans import pipeline as P
+    from mlcurate.workloads import lid as workload
+    from mlcurate.workloads import pipelines
+
+    sf, seen = "/root/testdata/sf0.001", []
+    monkeypatch.setattr(lid.NgramBayes, "fit", lambda self, docs: seen.append(docs) or self)
+    monkeypatch.setattr(P, "run", lambda *a: None)
+    pipelines.stages(spark, sf, None)
+    assert seen[0].count() == table(spark, sf, "documents").count()
+    monkeypatch.setattr(lid.HashedSoftmax, "fit", lambda self, docs: seen.append(docs) or self)
+    monkeypatch.setattr(lid.HashedSoftmax, "predict", lambda self, docs: seen.append(docs) or docs.select("doc_id", F.col("lang").alias("label")))
+    assert all(r.recall == 1 for r in workload.w_lid_softmax(spark, sf).collect())
+    assert seen[1].join(seen[2], "doc_id").isEmpty()
