@@ -6,6 +6,7 @@ length are encoded whole; extra columns stay outside the result.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -13,12 +14,6 @@ from mlcurate.llm import tokens
 from mlcurate.session import prepare
 
 
-def _decoded(table, text, chunks) -> str:
-    if chunks is None:
-        return " ".join([table.encoder.tokens[i] for i in table.encoder.text_ids(text)])
-    return " ".join(filter(None, map(table.text.__getitem__, chunks)))
-
-
 def encode(docs: DataFrame, vocab: str | None = None, digests: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids, decoded), or with ``digests`` SHA-256 of both in place of ids and decoded text."""
     prepare(docs.sparkSession)
@@ -31,19 +26,14 @@ def encode(docs: DataFrame, vocab: str | None = None, digests: bool = False) ->
 
         t = tokens.table(vocab, "trie", decoded=True)
         for b in batches:
-            keys, texts = b.column(0), b.column(1).to_pylist()
-            n, first, second = [], [], []
-            for i, j in tokens.slices(texts):
-                ids, lens, cut = t.batch(texts[i:j])
-                raw, at = ids.astype("<u4"), 0
-                for k, text, chunks in zip(lens.tolist(), texts[i:j], cut, strict=True):
-                    own, said = raw[at : at + k], _decoded(t, text, chunks)
-                    at += k
-                    n.append(k)
-                    first.append(hashlib.sha256(own).hexdigest() if digests else own)
-                    second.append(hashlib.sha256(said.encode()).hexdigest() if digests else said)
-            kind = pa.string() if digests else pa.list_(pa.int32())
-            yield pa.RecordBatch.from_arrays([keys, pa.array(n, pa.int64()), pa.array(first, kind), pa.array(second, pa.string())], names)
+            for i, j in tokens.slices(b.column(1)):
+                got = t.batch(b.column(1)[i:j])
+                said, raw, ends = t.spoken(got), got.ids.astype("<u4"), np.cumsum(got.lens).tolist()
+                own = [raw[x:y] for x, y in zip([0, *ends[:-1]], ends, strict=True)]
+                if digests:
+                    own = [hashlib.sha256(x).hexdigest() for x in own]
+                    said = [hashlib.sha256(x.as_buffer()).hexdigest() for x in said]
+                yield pa.RecordBatch.from_arrays([b.column(0)[i:j], pa.array(got.lens, pa.int64()), pa.array(own, pa.string() if digests else pa.list_(pa.int32())), pa.array(said, pa.string())], names)
 
     names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] if digests else ["doc_id", "n_tokens", "ids", "decoded"]
     schema = "doc_id long, n_tokens long, " + ("ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded string")

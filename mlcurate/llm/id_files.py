@@ -48,10 +48,11 @@ def write(docs: DataFrame, path: str, vocab: str | None = None, end_id: int = 2)
             return pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(row, types, strict=True)], [c.split()[0] for c in _SCHEMA.split(", ")])
 
         for b in batches:
-            keys, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
+            keys, texts = b.column(0).to_pylist(), b.column(1)
             for i, j in tokens.slices(texts):
-                got, n, _ = t.batch(texts[i:j])
-                got = np.insert(got, np.cumsum(n), end_id)
+                coded = t.batch(texts[i:j])
+                n = coded.lens
+                got = np.insert(coded.ids, np.cumsum(n), end_id)
                 names += keys[i:j]
                 ids.append(got.astype(np.uint16))
                 lens.append(n + 1)

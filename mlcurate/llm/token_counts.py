@@ -31,9 +31,9 @@ def encoded_lengths(docs: DataFrame, path: str | None = None, text: str = "text"
 
         t = tokens.table(path)
         for b in batches:
-            texts = b.column(b.num_columns - 1).to_pylist()
-            n = [int(x) for i, j in tokens.slices(texts) for x in t.counts(texts[i:j])]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(n, pa.int64())], [*keep, "n_tokens"])
+            texts = b.column(b.num_columns - 1)
+            for i, j in tokens.slices(texts):
+                yield pa.RecordBatch.from_arrays([*[c[i:j] for c in b.columns[:-1]], pa.array(t.counts(texts[i:j]), pa.int64())], [*keep, "n_tokens"])
 
     from pyspark.sql.types import LongType, StructType
 

@@ -1,24 +1,42 @@
 """Cached encoding of whole texts with the public word-BPE vocabulary.
 
-A text is lower-cased and cut at white space; each distinct chunk is encoded once
-per worker and every later occurrence is a table lookup, so the work per text is a
-split and a gather. Characters outside the range where Python's and the
-tokenizer's normalisation are known to agree send the whole text to the library.
+Texts are lower-cased, cut at white space and put in a dictionary by Arrow's kernels, a
+bounded slice of a batch at a time. Each distinct chunk is encoded once per worker, and
+every occurrence is a gather from a table of ids. A text that holds a character outside
+the range where these kernels' and the tokenizer's normalisation are known to agree
+goes to the library as a whole.
 """
 
 from __future__ import annotations
 
+import gc
 import json
 import re
+from dataclasses import dataclass
 
 import numpy as np
 
-#: Chunks held per worker before the table starts anew (bounds a worker's memory).
-MAX_CHUNKS = 500_000
+#: Chunks held per worker before the table starts anew (bounds a worker's memory, as do ``MAX_CHARS``).
+MAX_CHUNKS, MAX_CHARS = 500_000, 16_000_000
+#: Last code point of the plain range.
+_LAST = 0x24F
 
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zªµºß-öø-ɏ]+|[0-9²³¹¼½¾]|[^\s0-9a-zªµºß-öø-ɏ²³¹¼½¾]+")
-_TAIL = re.compile(r"(?<=[a-zß-öø-ÿ])([,.])(?=\s)")  # parts a word from the stop after it
-_ODD = re.compile("[^\x00-\x1b\x20-įı-ɏ]|<\\|(?:start|end)oftext\\|>")
+
+
+def _plain_class() -> str:
+    """Character class of what is plain: up to ``_LAST`` both as it is and in lower case, and no separator that only Python takes for white space."""
+    ok = [c for c in range(_LAST + 1) if not 0x1C <= c <= 0x1F and len(chr(c).lower()) == 1 and ord(chr(c).lower()) <= _LAST]
+    runs: list[list[int]] = []
+    for c in ok:
+        if runs and runs[-1][1] == c - 1:
+            runs[-1][1] = c
+        else:
+            runs.append([c, c])
+    return "".join(f"\\x{{{x:x}}}-\\x{{{y:x}}}" for x, y in runs)
+
+
+_ODD = f"[^{_plain_class()}]|<\\|(?:start|end)oftext\\|>"
 
 
 def default_path() -> str:
@@ -64,6 +82,17 @@ class LibraryEncoder:
         return np.concatenate(ids), np.concatenate(lens)
 
 
+@dataclass
+class Batch:
+    """Encoded texts: ``ids`` one text after the other, ``lens`` of each, the rows of their chunks with ``edges`` between texts, and the texts that the library took."""
+
+    ids: np.ndarray
+    lens: np.ndarray
+    rows: np.ndarray
+    edges: np.ndarray
+    odd: list[int]
+
+
 class ChunkTable:
     """chunk -> row of a growing pool of ids (and, on demand, its decoded text)."""
 
@@ -73,13 +102,13 @@ class ChunkTable:
 
     def _clear(self) -> None:
         self.index: dict[str, int] = {}
-        self.pool, self.start, self.length = np.zeros(1 << 16, np.uint16), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
-        self.used, self.text = 0, {}
+        self.pool, self.start, self.length = np.zeros(1 << 16, np.uint16), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int32)
+        self.used, self.chars, self.said = 0, 0, []
 
     def _room(self, name: str, need: int) -> np.ndarray:
         a = getattr(self, name)
         if need > len(a):
-            a = np.concatenate([a, np.zeros(max(need - len(a), len(a)), a.dtype)])
+            a = np.concatenate([a, np.zeros(max(need - len(a), len(a) // 2), a.dtype)])
             setattr(self, name, a)
         return a
 
@@ -89,97 +118,150 @@ class ChunkTable:
         self._room("length", at + n)[at : at + n] = lens
         self._room("start", at + n)[at : at + n] = self.used + np.cumsum(lens) - lens
         self.used += len(ids)
+        self.chars += sum(map(len, chunks))
         self.index.update(zip(chunks, range(at, at + n), strict=True))
         if self.decoded:
             t, flat, end = self.encoder.tokens, ids.tolist(), 0
-            for c, k in zip(chunks, lens.tolist(), strict=True):
-                self.text[c] = " ".join([t[i] for i in flat[end : end + k]])
+            for k in lens.tolist():
+                self.said.append(" ".join([t[i] for i in flat[end : end + k]]))
                 end += k
 
     def _learn(self, chunks: list[str]) -> None:
-        cut = [(c, pieces(c)) for c in chunks if not c.isalpha()]
-        mixed = [(c, x) for c, x in cut if len(x) != 1]
-        words = {c for c in chunks if c.isalpha()}.union(*([p for p in x] for _, x in cut)).difference(self.index)
-        words = sorted(words)
+        words = dict.fromkeys([c for c in chunks if c.isalpha()])
+        index, mixed = self.index, []
+        for c in chunks:
+            if c not in words:
+                x = pieces(c)
+                if len(x) > 1:
+                    mixed.append((c, x))
+                words.update(dict.fromkeys([p for p in x if p not in index]))
+        words = list(words)
         self._add(words, *self.encoder.many(words))
         if mixed:
             rows = np.array([self.index[p] for _, x in mixed for p in x], np.int64)
             of = np.repeat(np.arange(len(mixed)), [len(x) for _, x in mixed])
             self._add([c for c, _ in mixed], self.gather(rows), np.bincount(of, self.length[rows], len(mixed)).astype(np.int64))
 
-    def chunks(self, text: str) -> list[str] | None:
-        """Chunks of a text; None if the library has to take the whole text."""
-        return None if _ODD.search(text) else _TAIL.sub(r" \1", text.lower()).split()
-
     def rows(self, chunks: list[str]) -> np.ndarray:
-        """Row numbers of chunks, learning the unknown ones."""
-        new = set(chunks).difference(self.index)
+        """Row numbers of distinct chunks, learning the unknown ones."""
+        index = self.index
+        new = [c for c in chunks if c not in index]
         if new:
-            if len(self.index) + len(new) > MAX_CHUNKS:
+            if len(index) + len(new) > MAX_CHUNKS or self.chars > MAX_CHARS:
                 self._clear()
-                new = set(chunks)
-            self._learn(list(new))
-        return np.fromiter(map(self.index.__getitem__, chunks), np.int64, len(chunks))
+                index, new = self.index, chunks
+            self._learn(new)
+        return np.fromiter(map(index.__getitem__, chunks), np.int64, len(chunks))
 
     def gather(self, rows: np.ndarray) -> np.ndarray:
-        lens = self.length[rows]
+        lens = self.length[rows].astype(np.int64)
         ends = np.cumsum(lens)
         return self.pool[np.repeat(self.start[rows] - ends + lens, lens) + np.arange(ends[-1] if len(ends) else 0)]
 
-    def batch(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, list[list[str] | None]]:
-        """Ids of all texts, one after the other, how many each has, and each text's chunks (None: the library took it)."""
-        cut = [self.chunks(t) if t else [] for t in texts]
-        flat = [c for x in cut if x for c in x]
-        rows = self.rows(flat)
+    def batch(self, texts) -> Batch:
+        """Texts (an Arrow array or a list; null: empty) encoded."""
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        texts = pc.fill_null(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()), "")
+        strange = pc.match_substring_regex(texts, _ODD)
+        odd = np.flatnonzero(np.asarray(strange)).tolist()
+        low = pc.utf8_lower(pc.if_else(strange, "", texts) if odd else texts)
+        # a stop that ends a word is a chunk of its own, so the word is looked up once with and without it
+        low = pc.replace_substring_regex(low, r"([a-z0-9])([,.]) ", r"\1 \2 ")
+        cut = pc.utf8_split_whitespace(low)
+        coded = cut.flatten().dictionary_encode()
+        codes, chunks = np.asarray(coded.indices), coded.dictionary.to_pylist()
+        edges = np.asarray(cut.offsets).astype(np.int64) - cut.offsets[0].as_py()
+        if "" in chunks:  # what stands before a first and after a last space
+            blank = chunks.index("")
+            real = codes != blank
+            edges = np.concatenate([[0], np.cumsum(real)])[edges]
+            codes = codes[real]
+            codes = codes - (codes > blank)
+            del chunks[blank]
+        rows = self.rows(chunks)[codes] if chunks else np.zeros(0, np.int64)
         ids = self.gather(rows)
-        n = np.array([len(x) if x else 0 for x in cut], np.int64)
-        ends = np.concatenate([[0], np.cumsum(self.length[rows])])
-        edge = np.concatenate([[0], np.cumsum(n)])
-        lens = ends[edge[1:]] - ends[edge[:-1]]
-        odd = [i for i, x in enumerate(cut) if x is None]
+        ends = np.concatenate([[0], np.cumsum(self.length[rows], dtype=np.int64)])
+        lens = ends[edges[1:]] - ends[edges[:-1]]
         if odd:
             parts = np.split(ids, np.cumsum(lens)[:-1])
             for i in odd:
-                parts[i] = np.array(self.encoder.text_ids(texts[i]), np.uint16)
+                parts[i] = np.array(self.encoder.text_ids(texts[i].as_py()), np.uint16)
                 lens[i] = len(parts[i])
             ids = np.concatenate(parts)
-        return ids, lens, cut
-
-    def counts(self, texts: list[str | None]) -> np.ndarray:
+        return Batch(ids, lens, rows, edges, odd)
+
+    def spoken(self, b: Batch):
+        """Decoded texts of a batch that this table has just encoded, as an Arrow array."""
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        used, codes = np.unique(b.rows, return_inverse=True)
+        words = pa.array([self.said[i] for i in used.tolist()], pa.string())
+        text = pc.binary_join(pa.ListArray.from_arrays(pa.array(b.edges, pa.int32()), words.take(pa.array(codes.reshape(-1)))), " ")
+        if b.odd:
+            said, ends, t = text.to_pylist(), np.cumsum(b.lens), self.encoder.tokens
+            for i in b.odd:
+                said[i] = " ".join([t[k] for k in b.ids[ends[i] - b.lens[i] : ends[i]].tolist()])
+            text = pa.array(said, pa.string())
+        return text
+
+    def counts(self, texts) -> np.ndarray:
         """Encoded length of each text (null: empty)."""
-        return self.batch(texts)[1]
+        return self.batch(texts).lens
 
     def ids(self, text: str | None) -> np.ndarray:
         """Ids of one text (null: empty)."""
-        return self.batch([text])[0]
+        return self.batch([text]).ids
+
+
+def slices(texts, most: int = 4_000_000):
+    """(begin, end) of runs of texts (an Arrow array or a list) with about ``most`` bytes or characters, at least one text each."""
+    import pyarrow as pa
+
+    if isinstance(texts, pa.Array):
+        ends = np.cumsum(np.asarray(pa.compute.fill_null(pa.compute.binary_length(texts), 0)), dtype=np.int64)
+    else:
+        ends = np.cumsum([len(t or "") for t in texts], dtype=np.int64)
+    begin = 0
+    while begin < len(texts):
+        before = ends[begin - 1] if begin else 0
+        end = max(begin + 1, int(np.searchsorted(ends, before + most, "right")))
+        yield begin, end
+        begin = end
+
+
+_HELD: dict[tuple, ChunkTable] = {}
 
 
-def slices(texts: list[str | None], most: int = 1_000_000):
-    """(begin, end) of runs of texts with about ``most`` characters, at least one text each."""
-    begin, held = 0, 0
-    for i, t in enumerate(texts):
-        held += len(t or "")
-        if held >= most:
-            yield begin, i + 1
-            begin, held = i + 1, 0
-    if begin < len(texts):
-        yield begin, len(texts)
+def let_go() -> None:
+    """Drop what this worker holds and give the memory back; workers live on between stages, and each stage has tables of its own."""
+    import ctypes
 
+    import pyarrow as pa
 
-_TABLES: dict[tuple, ChunkTable] = {}
+    _HELD.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # other C libraries give it back by themselves
+        pass
 
 
 def table(path: str, kind: str = "library", decoded: bool = False) -> ChunkTable:
-    """This worker's table for a vocabulary file; kind 'library' or 'trie'."""
+    """This worker's table for a vocabulary file; kind 'library' or 'trie'. A worker holds one at a time."""
     key = (path, kind, decoded)
-    if key not in _TABLES:
+    if key not in _HELD:
+        let_go()
         if kind == "trie":
             from mlcurate.llm.trie_bpe import TrieEncoder
 
-            _TABLES[key] = ChunkTable(TrieEncoder(path), decoded)
+            _HELD[key] = ChunkTable(TrieEncoder(path), decoded)
         else:
-            _TABLES[key] = ChunkTable(LibraryEncoder(path), decoded)
-    return _TABLES[key]
+            _HELD[key] = ChunkTable(LibraryEncoder(path), decoded)
+    return _HELD[key]
 
 
 def vocabulary(path: str) -> dict:

@@ -18,7 +18,8 @@ import numpy as np
 
 from mlcurate.llm.tokens import vocabulary
 
-_MAX_PAIRS = 2_000_000
+#: Pairs held in the cache (bounds a worker's memory).
+_MAX_PAIRS = 500_000
 
 
 def _byte_symbols() -> list[str]:

@@ -62,6 +62,28 @@ def test_bpe_is_the_librarys(docs, library):
         assert got[k].decoded_sha256 == hashlib.sha256(library.decode(ids, skip_special_tokens=False).encode()).hexdigest(), text[:60]
 
 
+@pytest.mark.parametrize("kind", ["library", "trie"])
+def test_ids_of_random_texts_are_the_librarys(library, kind):
+    """Mixed chunks over the plain range, beyond it, and around its edges."""
+    import random
+
+    from mlcurate.llm import tokens
+
+    rng = random.Random(11)
+    plain, ascii_ = [chr(c) for c in range(1, 0x250)], list("abcdefgz ABC019.,'!-é ß\n\t")
+    odd = lambda: chr(rng.choice([rng.randrange(0x250, 0xD800), rng.randrange(0xE000, 0x11000), rng.randrange(0x1F000, 0x20000)]))
+    draw = [lambda: rng.choice(plain), lambda: rng.choice(rng.choice([plain, ascii_])), lambda: rng.choice(ascii_), lambda: odd() if rng.random() < 0.2 else rng.choice(ascii_)]
+    texts = ["".join(f() for _ in range(rng.choice([1, 2, 3, 5, 10, 30]))) for f in draw for _ in range(6000)]
+    texts += ["".join(x) for c in "ƏƐƆƁƊƉƔƖƲƷƝȺİ" for x in (c, c + "ß.", "9" + c + "z", c + "a.", "a" + c)] + [None, ""]
+    t = tokens.ChunkTable(tokens.table(tokens.default_path(), kind).encoder, decoded=True)
+    got = t.batch(texts)
+    own, said = np.split(got.ids, np.cumsum(got.lens)[:-1]), t.spoken(got).to_pylist()
+    for text, ids, s in zip(texts, own, said, strict=True):
+        want = library.encode(text or "", add_special_tokens=False).ids
+        assert ids.tolist() == want, repr(text)
+        assert s == library.decode(want, skip_special_tokens=False), repr(text)
+
+
 def test_bpe_decode_takes_its_own_ids(docs, library):
     from mlcurate.llm import bpe
 
