@@ -3,22 +3,28 @@
 ``members`` keeps the rows (key, id) of buckets with two ids or more and adds the
 bucket's smallest id, its pivot. ``star`` pairs every member with the pivot. Once
 star pairs say which ids belong together, ``mixed`` keeps the buckets that still hold
-ids of different groups. ``blocks`` deals the rows of a group, whatever its size, into
+ids of different groups. ``blocks`` deals the rows of a bucket, whatever its size, into
 blocks of bounded size and sends each pair of blocks to one task, so pairs are looked
-at inside a task and never written out as rows.
+at inside a task and never written out as rows. The largest group of a bucket gets blocks
+of its own, which are never paired with each other.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from mlcurate.session import settle
+
+
+#: Groups of a bucket table that are sent to every executor at most.
+BROADCAST_ROWS = 100_000
+
 
 def members(rows: DataFrame) -> DataFrame:
-    """(key, id, pivot) of the buckets with two ids or more. One shuffle of the rows."""
-    w = Window.partitionBy("key")
-    x = rows.select("key", "id", F.min("id").over(w).alias("pivot"), F.max("id").over(w).alias("far"))
-    return x.where("pivot != far").drop("far")
+    """(key, id, pivot) of the buckets with two ids or more. ``rows`` is read twice: minima combine before the shuffle, so no bucket is one task's."""
+    ends = rows.groupBy("key").agg(F.min("id").alias("pivot"), F.max("id").alias("far")).where("pivot != far").drop("far")
+    return rows.join(ends, "key")
 
 
 def star(m: DataFrame) -> DataFrame:
@@ -35,11 +41,19 @@ def mixed(m: DataFrame, groups: DataFrame) -> DataFrame:
     return g.join(some, "key", "left_semi")
 
 
-def blocks(rows: DataFrame, group: str, size: Column, most: int) -> DataFrame:
+def blocks(rows: DataFrame, bucket: str, group: str, size: Column, most: int) -> DataFrame:
     """``rows`` with columns lo, hi and block: each row once for every pair of blocks that its own is in.
 
-    ``size`` is what a row weighs; a group has as many blocks as keep one at about ``most``."""
-    n = rows.groupBy(F.col(group).alias("__g")).agg(F.ceil(F.sum(size) / most).cast("int").alias("__n"))
-    x = rows.join(n, F.col(group) == F.col("__g")).withColumn("block", F.pmod(F.xxhash64("id"), F.col("__n")).cast("int"))
-    x = x.withColumn("__x", F.explode(F.sequence(F.lit(0), F.col("__n") - 1)))
-    return x.withColumns({"lo": F.least("block", "__x"), "hi": F.greatest("block", "__x")}).drop("__g", "__n", "__x")
+    ``size`` is what a row weighs; a block weighs about ``most``. Only pairs of different groups matter. So the
+    blocks of a bucket's largest group meet the blocks of the rest but not each other: a row of it is copied as
+    often as there are blocks of the rest, however large its group is."""
+    part = rows.groupBy(F.col(bucket).alias("__b"), F.col(group).alias("__g")).agg(F.sum(size).alias("__w"))
+    n = part.groupBy("__b").agg(F.max(F.struct("__w", "__g")).alias("__top"), F.sum("__w").alias("__all"))
+    many = lambda w: F.ceil(w / most).cast("int")
+    n = settle(n.select("__b", F.col("__top.__g").alias("__g"), many(F.col("__top.__w")).alias("__big"), many(F.col("__all") - F.col("__top.__w")).alias("__rest")), "dealt")
+    x = rows.join(F.broadcast(n) if n.count() <= BROADCAST_ROWS else n, F.col(bucket) == F.col("__b"))
+    first = F.col(group) == F.col("__g")
+    hashed = lambda k: F.pmod(F.xxhash64("id"), k).cast("int")
+    x = x.withColumn("block", F.when(first, hashed(F.col("__big"))).otherwise(F.col("__big") + hashed(F.greatest(F.col("__rest"), F.lit(1)))))
+    x = x.withColumn("__x", F.explode(F.sequence(F.when(first, F.col("__big")).otherwise(0), F.col("__big") + F.col("__rest") - 1)))
+    return x.withColumns({"lo": F.least("block", "__x"), "hi": F.greatest("block", "__x")}).drop("__b", "__g", "__big", "__rest", "__x")

@@ -236,13 +236,13 @@ def _within(members: DataFrame, gram: int, threshold: float) -> DataFrame:
 def blocks_of(members: DataFrame) -> DataFrame:
     """Blocks of at most about ``BLOCK_TEXTS`` texts and ``BLOCK_CHARS`` characters."""
     weight = F.greatest(F.lit(BLOCK_CHARS // BLOCK_TEXTS), F.length("text"))
-    return buckets.blocks(members, "fam", weight, BLOCK_CHARS)
+    return buckets.blocks(members, "fam", "core", weight, BLOCK_CHARS)
 
 
 def _beyond(mixed: DataFrame, threshold: float) -> DataFrame:
     """(a, b): pairs of one bucket and different families that survive pruning; mixed: key, id, grp, sig."""
     limits = least_agreeing(threshold)
-    dealt = buckets.blocks(mixed, "key", F.lit(1), BLOCK_TEXTS)
+    dealt = buckets.blocks(mixed, "key", "grp", F.lit(1), BLOCK_TEXTS)
 
     def run(table):
         import pyarrow as pa

@@ -259,3 +259,26 @@ def test_line_dedup_of_long_lines_without_spaces(spark):
         rows += [(n, x), (n + 1, "甲乙丙丁戊己" + x[6:]), (n + 2, x + "甲" + x[: n // 16])]
     got = d.drop_lines(spark.createDataFrame(rows, "doc_id long, text string"))
     assert {r.doc_id: r.text for r in got.collect()} == lines_by_brute_force(rows)
+
+
+@pytest.mark.parametrize("letters", [6, 20, 40])
+def test_line_dedup_recall_on_long_lines(spark, letters):
+    """Pairs of long lines at 0.82 and above whose edits stand at the start of words."""
+    from mlcurate.llm import line_dedup as d
+
+    rng = random.Random(letters)
+    word = lambda: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(letters))
+    rows, grams_of = [], lambda x: {x[i : i + 5] for i in range(len(x) - 4)}
+    for k in range(60):
+        w = [word() for _ in range(max(6, 160 // letters))]
+        line, v = " ".join(w), list(w)
+        for i in rng.sample(range(len(w)), len(w)):
+            changed = list(v)
+            changed[i] = rng.choice("0123456789") + w[i][1:]
+            a, b = grams_of(line), grams_of(" ".join(changed))
+            if len(a & b) < 0.82 * len(a | b):
+                break
+            v = changed
+        rows += [(2 * k, line), (2 * k + 1, " ".join(v))]
+    got = {r.doc_id: r.text for r in d.drop_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == lines_by_brute_force(rows)
