@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mlcurate.session import settle
+from mlcurate.session import discard, settle
 
 #: A chain of n nodes needs about log2 n rounds; more means a defect.
 MOST_ROUNDS = 60
@@ -48,8 +48,9 @@ def _by_stars(e: DataFrame) -> DataFrame:
     for _ in range(MOST_ROUNDS):
         if not before[0]:
             break
-        e = settle(_small_star(_large_star(e)), "edges")
+        last, e = e, settle(_small_star(_large_star(e)), "edges")
         after = _mark(e)
+        discard(last)
         if after == before:
             break
         before = after
@@ -62,10 +63,11 @@ def _by_minima(e: DataFrame) -> DataFrame:
     both = e.union(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
     labels = settle(both.groupBy(F.col("src").alias("id")).agg(F.least(F.min("dst"), F.col("src")).alias("comp")), "labels")
     for _ in range(10_000):
-        spread = both.join(labels, both.dst == labels.id).groupBy(F.col("src").alias("id")).agg(F.min("comp").alias("near"))
-        new = settle(labels.join(spread, "id").select("id", F.least("comp", "near").alias("comp"), (F.col("near") < F.col("comp")).alias("moved")), "labels")
+        spread = both.join(labels.select("id", "comp"), F.col("dst") == F.col("id")).groupBy("src").agg(F.min("comp").alias("near")).withColumnRenamed("src", "id")
+        new = settle(labels.select("id", "comp").join(spread, "id").select("id", F.least("comp", "near").alias("comp"), (F.col("near") < F.col("comp")).alias("moved")), "labels")
         moved = new.where("moved").limit(1).count()
-        labels = new.drop("moved")
+        discard(labels)
         if not moved:
-            return labels
+            return new.drop("moved")
+        labels = new
     raise RuntimeError("labels did not settle")
