@@ -11,13 +11,12 @@ extra columns are ignored.
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mlcurate.llm import range_coder, tokens
-from mlcurate.session import prepare, shared_dir
+from mlcurate import session
+from mlcurate.session import prepare
 
 #: Ids that a segment takes before it is closed at a document's end; 16 bits hold each id.
 SEGMENT = 4_000_000
@@ -109,4 +108,5 @@ def _rows(spark, path: str, digest_only: bool) -> DataFrame:
 
 
 def new_path(spark) -> str:
-    return f"{shared_dir(spark)}/mlcurate-ids-{uuid.uuid4().hex}"
+    """A new place for a file set that lasts as long as the driver's process."""
+    return session.new_path(spark, "ids")

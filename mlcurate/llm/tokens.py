@@ -219,9 +219,10 @@ class ChunkTable:
 def slices(texts, most: int = 4_000_000):
     """(begin, end) of runs of texts (an Arrow array or a list) with about ``most`` bytes or characters, at least one text each."""
     import pyarrow as pa
+    import pyarrow.compute as pc
 
     if isinstance(texts, pa.Array):
-        ends = np.cumsum(np.asarray(pa.compute.fill_null(pa.compute.binary_length(texts), 0)), dtype=np.int64)
+        ends = np.cumsum(np.asarray(pc.fill_null(pc.binary_length(texts), 0)), dtype=np.int64)
     else:
         ends = np.cumsum([len(t or "") for t in texts], dtype=np.int64)
     begin = 0
