@@ -4,12 +4,15 @@ Words are lower-cased runs of letters, marks and digits. For each benchmark item
 documents are searched by windows of as many words as the item has. A window can only
 be similar to an item if it holds most of the item's five-word shingles, so windows
 are laid where an item's shingles stand, in documents that hold enough of them to
-reach the threshold; no window that does reach it lies elsewhere. A window's 64-bit
-SimHash is looked up among the items' by eight-bit blocks: two fingerprints within
-``RADIUS`` bits differ by at most ``RADIUS // 8`` bits in one of the eight blocks, so
+reach the threshold; no window that does reach it lies elsewhere. A window's SimHash of
+``BITS`` bits is looked up among the items' by blocks of sixteen bits: two fingerprints
+within ``RADIUS`` bits differ by at most ``RADIUS // BLOCKS`` bits in one of the blocks, so
 each item is entered under every value that near to its own block, and no fingerprint
-within the radius is missed. What is within the radius is verified exactly: weighted
-Jaccard similarity of shingles, a shingle's weight being how often it stands.
+within the radius is missed, while five pairs of unlike ones in six share no block. Two
+texts at the threshold differ by 39 bits, with a standard error of 6, so the radius leaves
+out 2 in 100,000. A fingerprint says little about few shingles: items of fewer than
+``SHORT`` are tried with every window that was laid for them. What is found is verified
+exactly: weighted Jaccard similarity of shingles, a shingle's weight being how often it stands.
 
 Everything is DataFrame expressions. Result: a row per document and item that meet:
 doc_id, item_id, start (word), n_words, similarity (best window).
@@ -25,9 +28,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from mlcurate.session import settle
+from mlcurate.session import discard, settle
 
-GRAM, THRESHOLD, RADIUS = 5, 0.8, 24
+GRAM, THRESHOLD = 5, 0.8
+#: Bits of a fingerprint, its blocks of sixteen bits, and the largest distance at which one is found.
+BITS, BLOCKS, RADIUS = 256, 16, 63
+#: Shingles below which an item is tried without a fingerprint.
+SHORT = 16
 #: Rows that a side may have to be sent to every executor; beyond it the join shuffles.
 BROADCAST_ROWS = 1_000_000
 _WORD = r"[\p{L}\p{M}\p{N}]+"
@@ -64,38 +71,50 @@ def _numbered(shingles: Column) -> Column:
     return F.transform(shingles, lambda x, i: F.concat(x, F.lit("#"), F.size(F.filter(F.slice(shingles, 1, i), lambda y: y == x)).cast("string")))
 
 
-def simhash(hashes: Column) -> Column:
-    """64-bit SimHash of an array of 64-bit hashes; repeated ones weigh as often as they stand."""
-    bit = lambda b: F.aggregate(hashes, F.lit(0), lambda a, h: a + F.getbit(h, b).cast("int") * 2 - 1) > 0
-    bits = F.transform(F.sequence(F.lit(0), F.lit(63)), lambda b: F.when(bit(b), F.lit("1")).otherwise(F.lit("0")))
-    # from the highest bit down, read as two halves
-    text = F.reverse(F.array_join(bits, ""))
-    half = lambda a: F.conv(F.substring(text, a, 32), 2, 10).cast("long")
-    return F.shiftleft(half(1), 32).bitwiseOR(half(33))
+def simhash(features: Column) -> Column:
+    """``BITS`` bits, in longs: each bit is the majority of that bit over the features' hashes; repeats are features of their own."""
+
+    def word(k: int) -> Column:
+        hashes = F.transform(features, lambda x: F.xxhash64(F.lit(k), x))
+        bit = lambda every, b: F.aggregate(every, F.lit(0), lambda a, h: a + F.getbit(h, b).cast("int") * 2 - 1) > 0
+        bits = lambda every: F.transform(F.sequence(F.lit(0), F.lit(63)), lambda b: F.when(bit(every, b), F.call_function("shiftleft", F.lit(1).cast("long"), b)).otherwise(F.lit(0).cast("long")))
+        return _let(hashes, lambda every: F.aggregate(bits(every), F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(x)))
+
+    return F.array(*[word(k) for k in range(BITS // 64)])
+
+
+def distance(p: Column, q: Column) -> Column:
+    """Bits in which two fingerprints differ."""
+    return F.aggregate(F.zip_with(p, q, lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, x: a + x)
 
 
 def items(benchmark: DataFrame, gram: int = GRAM) -> DataFrame:
     """(item_id, words, n, hashes, numbered, weight, print) of the items that have words."""
     df = benchmark.select(F.col("item_id").cast("long"), words(F.col("text")).alias("words")).where(F.size("words") > 0)
     df = df.withColumns({"n": F.size("words"), "hashes": _hashes(F.col("words"), gram), "shingles": _shingles(F.col("words"), gram)})
-    return df.select("item_id", "words", "n", "hashes", _numbered(F.col("shingles")).alias("numbered"), F.size("hashes").alias("weight"), simhash(F.col("hashes")).alias("print"))
+    df = df.select("item_id", "words", "n", "hashes", _numbered(F.col("shingles")).alias("numbered"), F.size("hashes").alias("weight"))
+    return df.withColumn("print", simhash(F.col("numbered")))
 
 
-def _blocks(fingerprint: Column) -> list[Column]:
-    return [F.shiftrightunsigned(fingerprint, 8 * b).bitwiseAND(F.lit(255)).cast("int") for b in range(8)]
+def _blocks(fingerprint: Column) -> Column:
+    """The blocks of a fingerprint, each numbered in its upper bits."""
+    return F.array(*[F.shiftrightunsigned(F.get(fingerprint, F.lit(b // 4)), 16 * (b % 4)).bitwiseAND(0xFFFF).cast("int") + (b << 16) for b in range(BLOCKS)])
+
+
+def _flips(radius: int) -> list[int]:
+    """Differences that one of the blocks shows at most where fingerprints are within the radius."""
+    return [x for x in range(1 << 16) if x.bit_count() <= radius // BLOCKS]
 
 
 def _item_keys(known: DataFrame, radius: int) -> DataFrame:
-    """(n, key, item_id): every block value within reach of an item's own."""
-    near = known.sparkSession.createDataFrame([(x,) for x in range(256) if x.bit_count() <= radius // 8], "flip int")
-    blocks = known.select("n", "item_id", F.posexplode(F.array(*_blocks(F.col("print")))).alias("b", "v"))
-    return blocks.crossJoin(F.broadcast(near)).select("n", "item_id", (F.col("b") * 256 + F.col("v").bitwiseXOR(F.col("flip"))).alias("key")).distinct()
+    """(n, block, item_id): every block value within reach of an item's own."""
+    near = known.sparkSession.createDataFrame([(x,) for x in _flips(radius)], "flip int")
+    blocks = known.select("n", "item_id", F.explode(_blocks(F.col("print"))).alias("b"))
+    return blocks.crossJoin(F.broadcast(near)).select("n", "item_id", F.col("b").bitwiseXOR(F.col("flip")).alias("block"))
 
 
-def search(docs: DataFrame, benchmark: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD, radius: int = RADIUS) -> DataFrame:
-    """Matches of documents and items; see the module's text."""
-    known = settle(items(benchmark, gram), "items")
-    n_known = known.count()
+def _windows(docs: DataFrame, known: DataFrame, gram: int, threshold: float) -> DataFrame:
+    """(doc_id, key, n, start, numbered, print, brief): item-sized windows that may reach the threshold, and the short items that each was laid for."""
     own = known.select("item_id", "n", "weight", F.posexplode("hashes").alias("j", "h"))
     every = known.agg(F.sum("weight")).first()[0] or 0
     base = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("key"))
@@ -104,29 +123,48 @@ def search(docs: DataFrame, benchmark: DataFrame, gram: int = GRAM, threshold: f
     hits = settle(hits.drop("x"), "hits")
     # an item's shingles that stand in a document bound the similarity of any window of it
     enough = hits.groupBy("doc_id", "key", "item_id", "weight").agg(F.countDistinct("j").alias("held")).where(F.col("held") >= F.ceil(F.lit(threshold) * F.col("weight") - 1e-9))
-    same = lambda a, b: a["doc_id"].eqNullSafe(b["doc_id"]) & (a["key"] == b["key"])
     e = enough.select(F.col("doc_id").alias("d"), F.col("key").alias("k"), F.col("item_id").alias("i"))
-    starts = hits.join(e, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k")) & (F.col("item_id") == F.col("i"))).select("doc_id", "key", "n", "start").distinct()
-    laid = settle(starts.groupBy("doc_id", "key").agg(F.collect_set(F.struct("n", "start")).alias("laid")), "laid")
+    starts = hits.join(e, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k")) & (F.col("item_id") == F.col("i")))
+    starts = starts.select("doc_id", "key", "n", "start", F.when(F.col("weight") < SHORT, F.col("item_id")).alias("brief")).distinct()
+    laid = settle(starts.groupBy("doc_id", "key").agg(F.collect_list(F.struct("n", "start", "brief")).alias("laid")), "laid")
     few = _small(laid, laid.count())
-    found = base.join(few, same(base, few)).select(base["doc_id"], base["key"], words(F.col("text")).alias("w"), "laid").dropDuplicates(["doc_id", "key"])
-    found = settle(found, "texts")
-    spot = found.select("doc_id", "key", "w", F.explode("laid").alias("x")).select("doc_id", "key", "w", F.col("x.n").alias("n"), F.col("x.start").alias("want"))
+    found = base.join(few, base["doc_id"].eqNullSafe(few["doc_id"]) & (base["key"] == few["key"])).select(base["doc_id"], base["key"], words(F.col("text")).alias("w"), "laid")
+    found = settle(found.dropDuplicates(["doc_id", "key"]), "texts")
+    spot = found.select("doc_id", "key", "w", F.explode("laid").alias("x")).select("doc_id", "key", "w", F.col("x.n").alias("n"), F.col("x.start").alias("want"), "x.brief")
     # a window stays inside its document
-    spot = spot.select("doc_id", "key", "w", "n", F.greatest(F.lit(0), F.least(F.col("want"), F.size("w") - F.col("n"))).alias("start"))
-    view = spot.select("doc_id", "key", "n", "start", F.slice("w", F.col("start") + 1, F.col("n")).alias("v")).distinct()
-    view = settle(view.select("doc_id", "key", "n", "start", _numbered_of(gram), simhash(_hashes(F.col("v"), gram)).alias("print")), "windows")
-    keyed = view.select("doc_id", "key", "n", "start", F.explode(F.array(*[F.lit(256 * b) + v for b, v in enumerate(_blocks(F.col("print")))])).alias("block"))
-    keys = _item_keys(known, radius).withColumnRenamed("key", "block")
-    pairs = keyed.join(_small(keys, 8 * 93 * n_known), ["n", "block"]).select("doc_id", "key", "n", "start", "item_id").distinct()
+    spot = spot.select("doc_id", "key", "w", "n", F.greatest(F.lit(0), F.least(F.col("want"), F.size("w") - F.col("n"))).alias("start"), "brief")
+    view = spot.groupBy("doc_id", "key", "n", "start").agg(F.first(F.slice("w", F.col("start") + 1, F.col("n"))).alias("v"), F.collect_set("brief").alias("brief"))
+    view = view.select("doc_id", "key", "n", "start", "brief", _numbered_of(gram))
+    view = settle(view.withColumn("print", F.when(F.size("numbered") >= threshold * SHORT, simhash(F.col("numbered")))), "windows")
+    discard(hits, laid, found)
+    return view
+
+
+def candidates(view: DataFrame, known: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """(doc_id, key, n, start, item_id): windows and items of their size whose fingerprints share a block within reach, or that are short."""
+    tall = known.where(F.col("weight") >= SHORT)
+    keyed = view.where("print is not null").select("doc_id", "key", "n", "start", F.explode(_blocks(F.col("print"))).alias("block"))
+    met = keyed.join(_small(_item_keys(tall, radius), BLOCKS * len(_flips(radius)) * tall.count()), ["n", "block"]).drop("block")
+    brief = view.select("doc_id", "key", "n", "start", F.explode("brief").alias("item_id"))
+    return met.select("doc_id", "key", "n", "start", "item_id").union(brief).distinct()
+
+
+def _matches(docs: DataFrame, benchmark: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD, radius: int = RADIUS) -> DataFrame:
+    """(doc_id, key, item_id, start, n, similarity) of the windows that reach the threshold."""
+    known = settle(items(benchmark, gram), "items")
+    view = _windows(docs, known, gram, threshold)
     v = view.select(F.col("doc_id").alias("d"), F.col("key").alias("k"), F.col("n").alias("m"), F.col("start").alias("s"), F.col("print").alias("p"), F.col("numbered").alias("a"))
-    near = pairs.join(v, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k")) & (F.col("n") == F.col("m")) & (F.col("start") == F.col("s")))
-    near = near.join(_small(known.select("item_id", F.col("print").alias("q"), F.col("numbered").alias("b")), n_known), "item_id")
-    near = near.where(F.bit_count(F.col("p").bitwiseXOR(F.col("q"))) <= radius)
+    near = candidates(view, known, radius).join(v, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k")) & (F.col("n") == F.col("m")) & (F.col("start") == F.col("s")))
+    near = near.join(_small(known.select("item_id", "weight", F.col("print").alias("q"), F.col("numbered").alias("b")), known.count()), "item_id")
+    near = near.where((F.col("weight") < SHORT) | (distance(F.col("p"), F.col("q")) <= radius))
     shared = F.size(F.array_intersect("a", "b"))
     sim = shared / (F.size("a") + F.size("b") - shared)
-    ok = near.select("doc_id", "item_id", "start", "n", sim.alias("similarity")).where(F.col("similarity") >= threshold - 1e-12)
-    best = ok.groupBy("doc_id", "item_id").agg(F.max(F.struct("similarity", (-F.col("start")).alias("s"), "n")).alias("x"))
+    return near.select("doc_id", "key", "item_id", "start", "n", sim.alias("similarity")).where(F.col("similarity") >= threshold - 1e-12)
+
+
+def search(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
+    """Matches of documents and items; see the module's text. Options: gram, threshold, radius."""
+    best = _matches(docs, benchmark, **options).groupBy("doc_id", "item_id").agg(F.max(F.struct("similarity", (-F.col("start")).alias("s"), "n")).alias("x"))
     return best.select("doc_id", "item_id", (-F.col("x.s")).cast("long").alias("start"), F.col("x.n").cast("long").alias("n_words"), F.round("x.similarity", 6).alias("similarity"))
 
 
@@ -135,6 +173,7 @@ def _numbered_of(gram: int) -> Column:
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """``docs`` without the documents that hold a benchmark item."""
-    held = search(docs, benchmark, **options).select("doc_id").distinct()
-    return docs.join(held, "doc_id", "left_anti")
+    """``docs`` without the rows whose own text holds a benchmark item, whatever their doc_id."""
+    held = _matches(docs, benchmark, **options).select("doc_id", "key").distinct().select(F.col("doc_id").alias("__d"), F.col("key").alias("__k"))
+    x = docs.select(F.struct("*").alias("__row"), F.col("doc_id").cast("long").alias("__doc"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("__key"))
+    return x.join(held, F.col("__doc").eqNullSafe(F.col("__d")) & (F.col("__key") == F.col("__k")), "left_anti").select("__row.*")

@@ -24,6 +24,7 @@ n_links (other documents whose text is identical or similar enough), group_id
 Defined cases: null and empty texts, and texts without words, have no shingles, no
 links and a group of their own; documents with a null doc_id come back with nulls;
 rows that repeat a doc_id count as one document per distinct text; extra columns are ignored.
+Texts are told apart by hashes of their own, so texts under one doc_id don't mix.
 """
 
 from __future__ import annotations
@@ -37,7 +38,7 @@ from pyspark.sql import functions as F
 
 from mlcurate.dedup.components import connected
 from mlcurate.llm import buckets
-from mlcurate.session import prepare, settle
+from mlcurate.session import discard, prepare, settle
 
 GRAM, THRESHOLD = 5, 0.8
 #: 24 bands of 4: a pair at 0.8 meets in a bucket but for 3 in a million.
@@ -124,13 +125,18 @@ def _text_key(text):
     return [F.xxhash64(t).alias("h1"), F.hash(t, F.length(t)).alias("h2"), F.length(t).alias("h3")]
 
 
+def _keyed(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("__text"), *_text_key(F.col("text")))
+
+
 def classes(docs: DataFrame, gram: int) -> DataFrame:
-    """(id, n, sig) per distinct text: smallest doc_id, rows, signature (null without shingles)."""
-    keyed = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("__text"), *_text_key(F.col("text"))).where("doc_id is not null")
+    """(h1, h2, h3, id, doc, n, sig) per distinct text: a number of its own, smallest doc_id, rows, signature (null without shingles)."""
+    from mlcurate.llm.tokens import let_go
 
     def run(batches):
         import pyarrow as pa
 
+        let_go()
         hasher = _Hasher(gram)
         for b in batches:
             sigs = []
@@ -139,9 +145,9 @@ def classes(docs: DataFrame, gram: int) -> DataFrame:
                 sigs.append(signature(h).view(np.int32) if len(h) else None)
             yield pa.RecordBatch.from_arrays([b.column(0), *b.columns[2:], pa.array(sigs, pa.list_(pa.int32()))], ["doc_id", "h1", "h2", "h3", "sig"])
 
-    signed = keyed.mapInArrow(run, "doc_id long, h1 long, h2 int, h3 int, sig array<int>")
+    signed = _keyed(docs).where("doc_id is not null").mapInArrow(run, "doc_id long, h1 long, h2 int, h3 int, sig array<int>")
     x = signed.groupBy("h1", "h2", "h3").agg(F.min(F.struct("doc_id", "sig")).alias("x"), F.count(F.lit(1)).alias("n"))
-    return x.select("h1", "h2", "h3", F.col("x.doc_id").alias("id"), "n", F.col("x.sig").alias("sig"))
+    return x.select("h1", "h2", "h3", F.monotonically_increasing_id().alias("id"), F.col("x.doc_id").alias("doc"), "n", F.col("x.sig").alias("sig"))
 
 
 def _pruned(pairs: DataFrame, sigs: DataFrame, threshold: float) -> DataFrame:
@@ -254,8 +260,8 @@ def _beyond(mixed: DataFrame, threshold: float) -> DataFrame:
     return dealt.groupBy("key", "lo", "hi").applyInArrow(run, "a long, b long").distinct()
 
 
-def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD) -> DataFrame:
-    """One row per document; see the module's text."""
+def _linked(docs: DataFrame, gram: int, threshold: float) -> DataFrame:
+    """Per distinct text: h1, h2, h3, class_id, n_copies, n_links, group_id, and whether it leads its group."""
     prepare(docs.sparkSession)
     reps = settle(classes(docs, gram), "classes")
     signed = reps.where("sig is not null").select("id", "n", "sig")
@@ -266,10 +272,11 @@ def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESH
     kept = settle(_pruned(buckets.star(m), some, threshold), "star")
     fam = settle(connected(kept.select(F.col("a").alias("src"), F.col("b").alias("dst"))).withColumnRenamed("comp", "grp"), "families")
     beyond = settle(_beyond(buckets.mixed(m, fam).join(some.select("id", "sig"), "id"), threshold), "beyond")
+    discard(m)
     wanted = fam.select("id").union(beyond.select("a")).union(beyond.select("b")).distinct()
-    named = reps.select("id", "h1", "h2", "h3").join(wanted, "id", "left_semi")
-    texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.coalesce("text", F.lit("")).alias("text"), *_text_key(F.col("text")))
-    texts = settle(texts.join(named, ["id", "h1", "h2", "h3"], "left_semi").select("id", "text").dropDuplicates(["id"]), "texts")
+    named = reps.select("id", "doc", "h1", "h2", "h3").join(wanted, "id", "left_semi")
+    texts = _keyed(docs).withColumnsRenamed({"doc_id": "doc", "__text": "text"}).join(named, ["doc", "h1", "h2", "h3"])
+    texts = settle(texts.select("id", "text").dropDuplicates(["id"]), "texts")
 
     near = 1 - (1 - threshold) / 2
     cores = settle(_verified(kept, texts, gram, near).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("core")), "cores")
@@ -278,6 +285,7 @@ def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESH
     several = of.groupBy("fam").agg(F.min("core").alias("lo"), F.max("core").alias("hi")).where("lo != hi").select("fam")
     inside = settle(_within(of.join(several, "fam", "left_semi").join(texts, "id"), gram, threshold), "inside")
     outside = settle(_verified(beyond, texts, gram, threshold), "outside")
+    discard(texts, kept, beyond)
 
     sizes = of.groupBy("core").agg(F.sum("n").alias("core_n"))
     in_core = of.select("id", "core").join(sizes, "core").select("id", "core_n")
@@ -285,19 +293,35 @@ def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESH
     counted = inside.select("id", "links").union(ends.join(reps.select(F.col("id").alias("other"), "n"), "other").select("id", F.col("n").alias("links"))).groupBy("id").agg(F.sum("links").alias("more"))
     edges = inside.select(F.col("id").alias("src"), F.col("least").alias("dst")).union(outside.select("a", "b")).union(cores.select("id", "core"))
     comp = connected(edges)
-    per_class = reps.withColumn("bare", F.col("sig").isNull()).drop("sig").join(in_core, "id", "left").join(counted, "id", "left").join(comp, "id", "left")
+    # a group's first text: smallest doc_id, then by hash where texts share one
+    own = F.struct("doc", "h1", "h2", "h3")
+    first = comp.join(reps.select("id", own.alias("own")), "id").groupBy("comp").agg(F.min("own").alias("first"))
+    led = comp.join(first, "comp").select("id", "first")
+    per_class = reps.withColumn("bare", F.col("sig").isNull()).drop("sig").join(in_core, "id", "left").join(counted, "id", "left").join(led, "id", "left")
     alike = F.when(F.col("bare"), F.lit(1)).otherwise(F.coalesce("core_n", "n"))
-    per_class = per_class.select("h1", "h2", "h3", F.col("id").alias("class_id"), F.col("n").alias("n_copies"), (alike - 1 + F.coalesce("more", F.lit(0))).alias("n_links"), F.when(~F.col("bare"), F.coalesce("comp", "id")).alias("group_id"))
-    keyed = docs.select(F.col("doc_id").cast("long"), *_text_key(F.col("text")))
-    out = keyed.join(per_class, ["h1", "h2", "h3"], "left")
+    group = F.when(~F.col("bare"), F.coalesce("first.doc", "doc"))
+    lead = F.coalesce(F.col("first") == own, F.lit(True))
+    return per_class.select("h1", "h2", "h3", F.col("doc").alias("class_id"), F.col("n").alias("n_copies"), (alike - 1 + F.coalesce("more", F.lit(0))).alias("n_links"), group.alias("group_id"), lead.alias("lead"))
+
+
+def near_duplicates(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD) -> DataFrame:
+    """One row per document; see the module's text."""
+    out = _keyed(docs).drop("__text").join(_linked(docs, gram, threshold), ["h1", "h2", "h3"], "left")
     has_id = F.col("doc_id").isNotNull()
     return out.select("doc_id", *[F.when(has_id, F.col(c)).alias(c) for c in ("class_id", "n_copies", "n_links")], F.when(has_id, F.coalesce("group_id", "doc_id")).alias("group_id"))
 
 
 def keep_one(docs: DataFrame, gram: int = GRAM, threshold: float = THRESHOLD) -> DataFrame:
-    """``docs`` with one document of each group: the one with the smallest doc_id. Rows with a null doc_id stay."""
-    lost = near_duplicates(docs, gram, threshold).where("group_id != doc_id").select("doc_id").distinct()
-    return docs.join(lost, "doc_id", "left_anti")
+    """``docs`` with one document of each group: the text with the smallest doc_id, under that doc_id.
+
+    A row goes only if its own text belongs to a group that another row stands for; other texts under its doc_id stay.
+    Rows with a null doc_id and texts without words stay; rows that repeat the kept document in full stay with it."""
+    per_class = _linked(docs, gram, threshold).where("group_id is not null")
+    rows = _keyed(docs).drop("__text").where("doc_id is not null").join(per_class, ["h1", "h2", "h3"])
+    lost = rows.where(~F.col("lead") | (F.col("doc_id") != F.col("class_id"))).select(F.col("doc_id").alias("__d"), *[F.col(c).alias(f"__{c}") for c in ("h1", "h2", "h3")]).distinct()
+    x = docs.select(F.struct("*").alias("__row"), F.col("doc_id").cast("long").alias("__doc"), *_text_key(F.col("text")))
+    same = (F.col("__doc") == F.col("__d")) & (F.col("h1") == F.col("__h1")) & (F.col("h2") == F.col("__h2")) & (F.col("h3") == F.col("__h3"))
+    return x.join(lost, same, "left_anti").select("__row.*")
 
 
 def links_expected(s: float) -> float:

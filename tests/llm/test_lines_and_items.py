@@ -141,19 +141,24 @@ def test_decontamination_edges(spark):
     assert d.search(docs, bench.limit(0)).count() == 0
 
 
-def test_simhash_blocks_miss_nothing(spark):
+def test_simhash_blocks_miss_nothing_and_prune(spark):
     from mlcurate.llm import decontaminate as d
 
     rng = random.Random(1)
-    prints = [rng.getrandbits(64) - (1 << 63) for _ in range(5)]
-    known = spark.createDataFrame([(i, 9, p) for i, p in enumerate(prints)], "item_id long, n int, print long")
-    keys = {(r.item_id, r.key) for r in d._item_keys(known, 24).collect()}
-    for i, p in enumerate(prints):
-        for _ in range(200):
-            x = p & ((1 << 64) - 1)
-            for b in rng.sample(range(64), 24):
-                x ^= 1 << b
-            assert any((i, 256 * k + (x >> 8 * k & 255)) in keys for k in range(8))
+    near = set(d._flips(d.RADIUS))
+    passed = 0
+    for _ in range(3000):
+        p, q = rng.getrandbits(d.BITS), rng.getrandbits(d.BITS)
+        x = p
+        for b in rng.sample(range(d.BITS), d.RADIUS):
+            x ^= 1 << b
+        blocks = lambda y: [y >> 16 * k & 0xFFFF for k in range(d.BLOCKS)]
+        assert any(a ^ b in near for a, b in zip(blocks(p), blocks(x), strict=True))
+        passed += any(a ^ b in near for a, b in zip(blocks(p), blocks(q), strict=True))
+    assert passed < 0.2 * 3000  # unlike fingerprints that share a block within reach
+    known = spark.createDataFrame([(1, 9, [0, 0, 0, 0])], "item_id long, n int, print array<long>")
+    keys = {r.block for r in d._item_keys(known, d.RADIUS).collect()}
+    assert keys == {(k << 16) | f for k in range(d.BLOCKS) for f in near}
 
 
 def test_simhash_is_the_majority_of_bits(spark):
@@ -162,11 +167,43 @@ def test_simhash_is_the_majority_of_bits(spark):
     from mlcurate.llm import decontaminate as d
 
     rng = random.Random(2)
-    hashes = [[rng.getrandbits(64) - (1 << 63) for _ in range(n)] for n in (1, 4, 31)]
-    got = [r[0] for r in spark.createDataFrame([(h,) for h in hashes], "h array<long>").coalesce(1).select(d.simhash(F.col("h"))).collect()]
-    for h, g in zip(hashes, got, strict=True):
-        want = sum((sum(1 if x >> b & 1 else -1 for x in h) > 0) << b for b in range(64))
-        assert g & ((1 << 64) - 1) == want
+    sets = [[f"w{rng.randrange(99)}" for _ in range(n)] for n in (1, 4, 31)]
+    df = spark.createDataFrame([(h,) for h in sets], "x array<string>").coalesce(1)
+    got = [r[0] for r in df.select(d.simhash(F.col("x"))).collect()]
+    hashed = [r[0] for r in df.select(F.transform("x", lambda x: F.array(*[F.xxhash64(F.lit(k), x) for k in range(4)]))).collect()]
+    for h, g in zip(hashed, got, strict=True):
+        for k in range(4):
+            assert g[k] & ((1 << 64) - 1) == sum((sum(1 if x[k] >> b & 1 else -1 for x in h) > 0) << b for b in range(64))
+
+
+def test_simhash_radius_keeps_what_reaches_the_threshold(spark):
+    """Recall of the radius at the threshold itself, over sets of all sizes that are given a fingerprint."""
+    from pyspark.sql import functions as F
+
+    from mlcurate.llm import decontaminate as d
+
+    rng = random.Random(3)
+    rows = []
+    for _ in range(600):
+        shared = 8 * rng.randrange(2, 8)
+        a = [f"s{rng.getrandbits(40)}" for _ in range(shared)]
+        rows.append((a + [f"a{rng.getrandbits(40)}" for _ in range(shared // 8)], a + [f"b{rng.getrandbits(40)}" for _ in range(shared // 8)]))
+    df = spark.createDataFrame(rows, "a array<string>, b array<string>")
+    far = [r[0] for r in df.select(d.distance(d.simhash(F.col("a")), d.simhash(F.col("b")))).collect()]
+    assert sum(x <= d.RADIUS for x in far) >= 0.995 * len(far)
+
+
+def test_decontamination_by_row(spark):
+    """Rows under one doc_id and under none are judged by their own texts; very long texts are searched whole."""
+    from mlcurate.llm import decontaminate as d
+
+    item = " ".join(f"w{i}" for i in range(30))
+    long = " ".join(f"z{i}" for i in range(60_000)) + " " + item
+    rows = [(5, item, 1), (5, "something else", 2), (None, f"a {item} b", 3), (None, "clean", 4), (7, long, 5), (8, None, 6), (9, "", 7)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, __key int")
+    left = d.clean(docs, spark.createDataFrame([(1, item)], "item_id long, text string"))
+    assert left.columns == docs.columns
+    assert sorted(r["__key"] for r in left.collect()) == [2, 4, 6, 7]
 
 
 def test_toxicity_finds_planted_words(spark):

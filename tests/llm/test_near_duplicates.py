@@ -111,6 +111,22 @@ def test_jaccard_join_edges(spark):
     assert sorted((r.doc_id or -1, r.class_id, r.group_id) for r in got) == [(-1, None, None), (3, 3, 3), (3, 3, 3), (4, 4, 4)]
 
 
+def test_keep_one_by_text(spark):
+    """Texts under one doc_id are documents of their own: no unrelated one goes, and one of each group stays."""
+    from mlcurate.llm import jaccard_join as j
+
+    a, b, c = (" ".join(f"{x}{i}" for i in range(40)) for x in "abc")
+    near = a + " more"
+    rows = [(1, a, 1), (5, a, 2), (5, b, 3), (1, c, 4), (5, near, 5), (None, a, 6), (9, None, 7), (9, "", 8), (2, b, 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, h1 int")
+    kept = j.keep_one(docs)
+    assert kept.columns == docs.columns
+    assert sorted(r.h1 for r in kept.collect()) == [1, 4, 6, 7, 8, 9]
+    got = {(r.doc_id, r.n_links, r.group_id) for r in j.near_duplicates(docs.where("h1 in (1, 2, 4, 5)")).collect()}
+    assert got == {(1, 2, 1), (5, 2, 1), (1, 0, 1)}
+    assert j.keep_one(docs.limit(0)).count() == 0
+
+
 def test_pruning_keeps_what_reaches_the_threshold():
     import numpy as np
 
