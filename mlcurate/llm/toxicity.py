@@ -8,14 +8,14 @@ a window's logit. A document's score is that of its worst window, and every wind
 the whole text is scored.
 
 Training uses at most ``SAMPLE`` labelled documents of each label (by hash of doc_id,
-texts up to ``SAMPLE_CHARS`` characters), with labels only of rows whose
+texts up to ``SAMPLE_CHARS`` characters: less than 100 MB on the driver), with labels only of rows whose
 crc32(doc_id) mod 5 is not 0. Which window makes a labelled document toxic is not
 known; the one whose n-grams are most lopsided between the labels stands for it. The
 logit that best parts the sampled documents becomes score 0.5.
 
 Defined cases: null and empty texts, and texts of white space, score 0; without labels
 of both kinds every score is 0; a null doc_id counts as held out; repeated rows
-repeat; extra columns are ignored.
+repeat; a doc_id that rows repeat is learnt from once; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,15 +27,15 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mlcurate.llm.tokens import slices
+from mlcurate.llm.tokens import let_go, slices
 from mlcurate.session import prepare
 
 WINDOW, STRIDE = 48, 40
-SAMPLE, SAMPLE_CHARS = 1500, 100_000
+SAMPLE, SAMPLE_CHARS = 1500, 30_000
 WORD_ROWS, GRAM_ROWS, WORD_DIM, GRAM_DIM, HIDDEN, ATTEND = 1 << 13, 1 << 15, 8, 8, 8, 8
 GRAMS = (3, 5, 8)
 EPOCHS, STEPS, BATCH, RATE = 8, 400, 64, 0.01  # STEPS: at least so many, by more epochs where data are few
-_MAX_WORDS = 200_000
+_MAX_WORDS = 150_000
 _MARKS = re.compile(r"[\W_]+")
 
 
@@ -316,12 +316,12 @@ class Scorer:
 
 
 def sample(docs: DataFrame, labels: DataFrame, n: int = SAMPLE) -> tuple[list[str], list[int]]:
-    """At most ``n`` training texts of each label."""
+    """At most ``n`` training texts of each label, one of each doc_id (the first in order where rows repeat it)."""
     own = labels.select(F.col("doc_id").cast("long"), F.col("toxic").cast("int")).where("doc_id is not null and toxic in (0, 1)")
     own = own.where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     picked = [own.where(F.col("toxic") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n) for k in (0, 1)]
     few = F.broadcast(picked[0].union(picked[1]))  # 2 n rows at most
-    rows = docs.select(F.col("doc_id").cast("long"), "text").where((F.length("text") > 0) & (F.length("text") <= SAMPLE_CHARS)).join(few, "doc_id").collect()
+    rows = docs.select(F.col("doc_id").cast("long"), "text").where((F.length("text") > 0) & (F.length("text") <= SAMPLE_CHARS)).join(few, "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text")).collect()
     rows.sort(key=lambda r: (r.doc_id, r.text))
     return [r.text for r in rows], [r.toxic for r in rows]
 
@@ -344,10 +344,13 @@ def _scored(docs: DataFrame, net: Network | None, keep: tuple[str, ...]) -> Data
     def run(batches):
         import pyarrow as pa
 
+        let_go()
         s = Scorer(model.value)
         for b in batches:
             x = s.logits(b.column("k_text").to_pylist())
             yield pa.RecordBatch.from_arrays([*[b.column(c) for c in names], pa.array(0.5 * (np.tanh(0.5 * np.clip(x, -80, 80)) + 1) * np.isfinite(x), pa.float64())], [*names, "__score"])
+        del s
+        let_go()
 
     from pyspark.sql.types import DoubleType, StructType
 

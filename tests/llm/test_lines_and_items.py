@@ -235,6 +235,19 @@ def test_toxicity_finds_planted_words(spark):
     assert x.score(docs.limit(0), None).count() == 0
 
 
+def test_toxicity_on_held_out_labels(spark):
+    """Rows of the given tables whose labels were never learnt from."""
+    from mlcurate.llm import toxicity as x
+
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    real = {r.doc_id: r.toxic for r in labels.where("toxic is not null").collect()}
+    rows = [(r.predicted, real[r.doc_id]) for r in x.score(docs, x.fit(docs, labels)).collect() if r.held_out and r.doc_id in real]
+    found, toxic = sum(p for p, y in rows if y), sum(y for _, y in rows)
+    flagged = sum(p for p, y in rows if not y)
+    print(f"held out: {found} of {toxic} toxic found, {flagged} of {len(rows) - toxic} clean flagged")
+    assert found >= 0.85 * toxic and flagged <= 0.02 * (len(rows) - toxic)
+
+
 def test_toxicity_gradients():
     import numpy as np
 
