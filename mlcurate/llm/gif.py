@@ -4,9 +4,9 @@
 control blocks); ``compose`` applies disposal and transparency to give what a viewer
 shows; ``frames`` does both for a DataFrame of GIFs and stores a row for each timed
 frame with its colour histogram. ``store`` writes bytes losslessly as 8-bit grey
-samples, 192 to a row. Its LZW stream clears the table before codes grow beyond
-nine bits, so it is packed, and read back, by whole-array operations; streams of
-other writers are decoded code by code.
+samples, 192 to a row, in frames of ``ROWS`` rows, each ``DELAY`` hundredths of a second
+after the last, with LZW codes that grow to twelve bits. ``digest`` reads its own files
+the same way: code table, palette, composed frames and their histograms.
 
 Defined cases: null and empty texts store one row of spaces; broken GIFs give no
 frames and a message; repeated rows repeat; extra columns are ignored.
@@ -24,7 +24,8 @@ from pyspark.sql import functions as F
 from mlcurate.session import prepare
 
 ROW, ROWS, DELAY = 192, 1024, 10
-_CLEAR, _END, _RUN = 256, 257, 254
+#: Entries of a code table, and codes that are cut out of a stream at a time.
+TABLE, _CUT = 4096, 4608
 
 
 @dataclass
@@ -58,65 +59,70 @@ def _unblock(data: bytes, at: int) -> tuple[bytes, int]:
     return b"".join(parts), at + 1
 
 
-def lzw_plain(pixels: np.ndarray) -> bytes:
-    """8-bit pixels as nine-bit codes, with a clear code before each run of ``_RUN``."""
-    n = len(pixels)
-    runs = -(-n // _RUN)
-    codes = np.full((runs, _RUN + 1), _END, np.uint16)
-    codes[:, 0] = _CLEAR
-    flat = np.zeros(runs * _RUN, np.uint16)
-    flat[:n] = pixels
-    codes[:, 1:] = flat.reshape(runs, _RUN)
-    c = codes.reshape(-1)[: n + runs]
-    c = np.concatenate([c, np.full(1 + (-(n + runs + 1)) % 8, _END, np.uint16)]).reshape(-1, 8)
-    out = np.zeros((len(c), 9), np.uint8)
-    for k in range(8):
-        v = c[:, k].astype(np.uint32) << k
-        out[:, k] |= (v & 255).astype(np.uint8)
-        out[:, k + 1] |= (v >> 8).astype(np.uint8)
-    return out.tobytes()
-
-
-def _lzw_plain_read(data: bytes, n: int) -> np.ndarray | None:
-    """The pixels, if the stream has the form that ``lzw_plain`` writes."""
-    groups = len(data) // 9
-    b = np.frombuffer(data, np.uint8, groups * 9).reshape(groups, 9).astype(np.uint16)
-    c = np.empty((groups, 8), np.uint16)
-    for k in range(8):
-        c[:, k] = ((b[:, k] >> k) | (b[:, k + 1] << (8 - k))) & 511
-    c = c.reshape(-1)
-    runs = -(-n // _RUN)
-    if len(c) < n + runs + 1 or c[n + runs] != _END:
-        return None
-    c = c[: n + runs]
-    full = np.zeros(runs * (_RUN + 1), np.uint16)
-    full[: len(c)] = c
-    full = full.reshape(runs, _RUN + 1)
-    if (full[:, 0] != _CLEAR).any() or full[:, 1:].max(initial=0) > 255:
-        return None
-    return full[:, 1:].reshape(-1)[:n].astype(np.uint8)
+def _widths(least: int, begin: int, n: int) -> np.ndarray:
+    """Bits of the codes ``begin`` to ``begin + n`` after a clear code: a code has room for the entries that its reader has made by then."""
+    entries = (1 << least) + 1 + np.maximum(np.arange(begin, begin + n), 1)
+    bits = np.frexp(np.minimum(entries, TABLE - 1).astype(np.float64))[1]
+    return np.maximum(bits, least + 1).astype(np.int64)
 
 
-def lzw_decode(data: bytes, least: int, n: int) -> np.ndarray:
-    """``n`` palette indices from a code stream whose smallest code has ``least`` bits."""
-    if least == 8 and n and (got := _lzw_plain_read(data, n)) is not None:
-        return got
+def lzw_encode(pixels: bytes, least: int = 8) -> bytes:
+    """The code stream of palette indices below 2**least; the table starts anew when it is full."""
     clear, end = 1 << least, (1 << least) + 1
-    first = [bytes([i]) for i in range(clear)] + [b"", b""]
-    table, width, before = list(first), least + 1, b""
-    out, held, bits, size = [], 0, 0, 0
-    for byte in data:
-        held |= byte << bits
-        bits += 8
-        while bits >= width:
-            code = held & ((1 << width) - 1)
-            held >>= width
-            bits -= width
-            if code == clear:
-                table, width, before = list(first), least + 1, b""
+    table: dict[int, int] = {}
+    codes, nxt = [clear], end + 1
+    put, find = codes.append, table.get
+    if pixels:
+        held = pixels[0]
+        for p in pixels[1:]:
+            key = held << 8 | p
+            code = find(key)
+            if code is not None:
+                held = code
                 continue
-            if code == end or size >= n:
-                return np.frombuffer(b"".join(out)[:n].ljust(n, b"\0"), np.uint8)
+            put(held)
+            if nxt < TABLE:
+                table[key] = nxt
+                nxt += 1
+            else:
+                put(clear)
+                table.clear()
+                nxt = end + 1
+            held = p
+        put(held)
+    put(end)
+    c = np.array(codes, np.int64)
+    place = np.arange(len(c))
+    starts = np.flatnonzero(c == clear)
+    since = place - 1 - np.concatenate([[0], starts])[np.searchsorted(starts, place, "left")]  # codes since the clear code before
+    widths = _widths(least, 0, TABLE + 2)[np.maximum(since, 0)]
+    ends = np.cumsum(widths)
+    at = ends - widths
+    v = c << (at & 7)
+    size = int(-(-ends[-1] // 8))
+    out = sum(np.bincount((at >> 3) + k, v >> 8 * k & 255, size + 3) for k in range(3))  # codes share no bit
+    return out[:size].astype(np.uint8).tobytes()
+
+
+def lzw_decode(data: bytes, least: int, n: int) -> np.ndarray:
+    """``n`` palette indices from a code stream whose smallest code has ``least`` bits; what is missing is 0."""
+    clear, end = 1 << least, (1 << least) + 1
+    fresh = [bytes([i]) for i in range(clear)] + [b"", b""]
+    raw = np.concatenate([np.frombuffer(data, np.uint8), np.zeros(4, np.uint8)]).astype(np.int64)
+    bits, at, since = len(data) * 8, 0, 0
+    table, before, out, size, going = list(fresh), b"", [], 0, True
+    while going and size < n:
+        widths = _widths(least, since, _CUT)
+        ends = at + np.cumsum(widths)
+        k = int(np.searchsorted(ends, bits, "right"))  # whole codes that are left
+        if not k:
+            break
+        begins = ends[:k] - widths[:k]
+        b = begins >> 3
+        codes = (raw[b] | raw[b + 1] << 8 | raw[b + 2] << 16) >> (begins & 7) & (1 << widths[:k]) - 1
+        stops = np.flatnonzero((codes == clear) | (codes == end))
+        stop = int(stops[0]) if len(stops) else k
+        for code in codes[:stop].tolist():
             if code < len(table):
                 entry = table[code]
             elif code == len(table) and before:
@@ -125,11 +131,14 @@ def lzw_decode(data: bytes, least: int, n: int) -> np.ndarray:
                 raise ValueError("code beyond the table")
             out.append(entry)
             size += len(entry)
-            if before and len(table) < 4096:
+            if before and len(table) < TABLE:
                 table.append(before + entry[:1])
-            if len(table) == 1 << width and width < 12:
-                width += 1
             before = entry
+        if stop < k:
+            at, since, going = int(ends[stop]), 0, codes[stop] == clear
+            table, before = list(fresh), b""
+        else:
+            at, since = int(ends[k - 1]), since + k
     return np.frombuffer(b"".join(out)[:n].ljust(n, b"\0"), np.uint8)
 
 
@@ -140,10 +149,9 @@ def store(payload: bytes) -> bytes:
     """A GIF whose frames hold the payload, ``ROW`` samples to a row; its length must be a multiple of ``ROW``."""
     rows = len(payload) // ROW
     parts = [b"GIF89a", struct.pack("<HHBBB", ROW, min(rows, ROWS), 0xF7, 0, 0), _GREY]
-    data = np.frombuffer(payload, np.uint8)
     for top in range(0, rows, ROWS):
         h = min(ROWS, rows - top)
-        parts += [b"\x21\xf9\x04", struct.pack("<BHB", 1 << 2, DELAY, 0), b"\0", b"\x2c", struct.pack("<HHHHB", 0, 0, ROW, h, 0), b"\x08", _blocks(lzw_plain(data[top * ROW : (top + h) * ROW]))]
+        parts += [b"\x21\xf9\x04", struct.pack("<BHB", 1 << 2, DELAY, 0), b"\0", b"\x2c", struct.pack("<HHHHB", 0, 0, ROW, h, 0), b"\x08", _blocks(lzw_encode(payload[top * ROW : (top + h) * ROW]))]
     return b"".join([*parts, b"\x3b"])
 
 
@@ -272,8 +280,19 @@ def texts_as_gifs(docs: DataFrame) -> DataFrame:
     return _stored(docs, "doc_id long, n_bytes long, gif binary", lambda t: ((p := payload_of(t))[0], store(p[1])))
 
 
+def shown_samples(media: bytes) -> tuple[bytes, str]:
+    """What ``store`` stored, read from the composed frames, and the feature: frames, duration, and each one's time and histogram (bin x pixels)."""
+    wide, high, got = parse(media)
+    samples, said, clock = [], [], 0
+    for f, shown in zip(got, compose(wide, high, got), strict=True):
+        samples.append(shown[f.top : f.top + f.height, f.left : f.left + f.width, 0].tobytes())
+        said.append(f"{clock}+{f.delay_cs}=" + ",".join(f"{k}x{v}" for k, v in enumerate(histogram(shown)) if v))
+        clock += f.delay_cs
+    return b"".join(samples), f"{len(got)}:{clock}:" + ";".join(said)
+
+
 def digest(docs: DataFrame) -> DataFrame:
-    """Each text stored as a GIF and read back: sizes, hashes, and the grey histogram of its frames in 16 bins."""
+    """Each text stored as a GIF and read back: sizes, hashes, and the times and colour histograms of its frames."""
 
     def row(text):
         import hashlib
@@ -281,11 +300,7 @@ def digest(docs: DataFrame) -> DataFrame:
 
         n, payload = payload_of(text)
         media = store(payload)
-        _, _, got = parse(media)
-        samples = np.concatenate([f.palette[f.pixels.reshape(-1), 0] for f in got])
-        back = samples.tobytes()
-        bins = np.bincount(samples >> 4, minlength=16)
-        feature = f"{len(got)}:" + ",".join(map(str, bins.tolist()))
+        back, feature = shown_samples(media)
         return n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(media), hashlib.sha256(media).hexdigest(), feature
 
     return _stored(docs, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string", row)

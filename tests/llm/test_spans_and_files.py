@@ -273,6 +273,33 @@ def _lzw(pixels, least):
     return bytes(out)
 
 
+def test_gif_codes_are_lzw(spark):
+    """The stored stream holds dictionary codes and starts its table anew; a long text has several timed frames; repeated rows repeat."""
+    from mlcurate.llm import gif
+
+    rng = np.random.default_rng(5)
+    text = " ".join(f"w{x}" for x in rng.integers(0, 2000, 90_000))
+    media = gif.store(gif.payload_of(text)[1])
+    assert len(media) < 0.6 * len(text)
+    wide, high, got = gif.parse(media)
+    assert (wide, high, len(got)) == (192, 1024, -(-len(gif.payload_of(text)[1]) // (192 * 1024)))
+    one = gif.lzw_encode(b"abababababab")
+    held, codes, width = int.from_bytes(one, "little"), [], 9
+    while not codes or codes[-1] != 257:
+        codes.append(held & 511)
+        held >>= width
+    assert codes[0] == 256 and max(codes) > 257
+    back, feature = gif.shown_samples(media)
+    assert back == gif.payload_of(text)[1] and feature.startswith(f"{len(got)}:{10 * len(got)}:0+10=")
+    for n in (0, 1, 191, 3838, 3839, 3840, 3841, 20_000):
+        for high in (2, 256):
+            px = rng.integers(0, high, n).astype(np.uint8).tobytes()
+            assert gif.lzw_decode(gif.lzw_encode(px), 8, n).tobytes() == px
+    rows = [(1, text), (1, text), (2, None), (2, "")]
+    a, b, c, d = (tuple(r) for r in sorted(gif.digest(spark.createDataFrame(rows, "doc_id long, text string")).collect()))
+    assert a == b and c == d
+
+
 def test_gif_streams_of_other_writers():
     from mlcurate.llm import gif
 
