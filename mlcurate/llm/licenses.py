@@ -1,8 +1,9 @@
 """License scans: phrases, and an exact set-similarity join of text blocks with license templates.
 
 Words are runs of digits, ASCII letters (case ignored) and non-ASCII characters.
-A block is a line, or overlapping windows of ``BLOCK`` words of a long line. A block
-meets a template if it holds at least ``THETA`` of the template's distinct words.
+A block is a window of ``BLOCK`` words of the whole text, begun every ``BLOCK // 2`` words;
+line breaks are gaps like any other, so a notice may be wrapped. A block meets a template
+if it holds at least ``THETA`` of the template's distinct words.
 The template words are put in order of their frequency over all documents, rarest
 first; a block that meets a template must hold one of its first few words (prefix
 filter), have words enough (length filter), and have enough words left after the
@@ -75,12 +76,13 @@ def frequencies(docs: DataFrame, words: list[str]) -> dict[str, int]:
 
 
 def blocks(docs: DataFrame, some: list[str]) -> DataFrame:
-    """(doc_id, key, words) of the blocks of every line that holds one of a few words."""
-    lines = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("key"), F.explode(F.split("text", "\n")).alias("line"))
-    lines = lines.where(F.col("line").rlike(r"(?i)(?<![0-9a-z])(?:" + "|".join(sorted(some)) + r")(?![0-9a-z])"))
-    words = lines.select("doc_id", "key", F.split(F.trim(_ascii_lower(spaced(F.col("line")))), " ").alias("w"))
+    """(doc_id, key, words) of the blocks that hold one of a few words."""
+    seen = r"(?i)(?<![0-9a-z])(?:" + "|".join(sorted(some)) + r")(?![0-9a-z])"
+    texts = docs.where(F.col("text").rlike(seen)).select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("key"), _ascii_lower(spaced(F.col("text"))).alias("t"))
+    words = texts.select("doc_id", "key", F.split(F.trim("t"), " ").alias("w"))
     at = F.sequence(F.lit(0), F.greatest(F.size("w") - BLOCK // 2 - 1, F.lit(0)), F.lit(BLOCK // 2))
-    return words.select("doc_id", "key", F.explode(F.transform(at, lambda i: F.slice(F.col("w"), i + 1, F.lit(BLOCK)))).alias("words"))
+    x = words.select("doc_id", "key", F.explode(F.transform(at, lambda i: F.slice(F.col("w"), i + 1, F.lit(BLOCK)))).alias("words"))
+    return x.where(F.arrays_overlap("words", F.array(*map(F.lit, sorted(some)))))
 
 
 def similar(docs: DataFrame, templates=TEMPLATES, theta: float = THETA) -> DataFrame:

@@ -38,8 +38,7 @@ _PLACES = " UNION ALL ".join(f"SELECT doc_id, '{label}' AS label, unnest(list_fi
 _TEMPLATES = ", ".join(f"('{label}', {sorted(set(t.split()))!r})" for label, t in licenses.TEMPLATES)
 LICENSES = rf"""WITH wd AS (SELECT doc_id, {_WORDS} AS w FROM documents),
 pl AS ({_PLACES}),
-ln AS (SELECT doc_id, {_WORDS} AS v FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS text FROM documents)),
-bl AS (SELECT doc_id, list_distinct(v[i + 1 : i + {licenses.BLOCK}]) AS b FROM (SELECT doc_id, v, unnest(range(0, greatest(len(v) - {licenses.BLOCK // 2}, 1), {licenses.BLOCK // 2})) AS i FROM ln WHERE len(v) > 0)),
+bl AS (SELECT doc_id, list_distinct(v[i + 1 : i + {licenses.BLOCK}]) AS b FROM (SELECT doc_id, w AS v, unnest(range(0, greatest(len(w) - {licenses.BLOCK // 2}, 1), {licenses.BLOCK // 2})) AS i FROM wd WHERE len(w) > 0)),
 tm AS (SELECT * FROM (VALUES {_TEMPLATES}) t(label, own)),
 mt AS (SELECT doc_id, label, len(list_intersect(b, own)) / len(own) AS c FROM bl, tm WHERE len(list_intersect(b, own)) >= {licenses.THETA} * len(own) - 1e-9),
 lb AS (SELECT doc_id, array_to_string(list_sort(list(DISTINCT label)), ',') AS labels FROM (SELECT doc_id, label FROM pl UNION ALL SELECT doc_id, label FROM mt) GROUP BY doc_id),

@@ -214,15 +214,16 @@ def test_licenses(spark, docs):
         assert (r.first_word, r.last_word) == ((places[0][0], places[-1][0]) if places else (None, None)), text[:80]
         assert r.base_labels == ",".join(sorted({x for _, x in places}))
         want = {x for _, x in places}
-        for line in text.split("\n"):
-            v = word.findall(line.lower())
-            for i in range(0, max(len(v) - licenses.BLOCK // 2, 1), licenses.BLOCK // 2):
-                block = set(v[i : i + licenses.BLOCK])
-                want |= {label for label, x in licenses.TEMPLATES if len(block & set(x.split())) >= licenses.THETA * len(set(x.split())) - 1e-9}
+        for i in range(0, max(len(w) - licenses.BLOCK // 2, 1), licenses.BLOCK // 2):
+            block = set(w[i : i + licenses.BLOCK])
+            want |= {label for label, x in licenses.TEMPLATES if len(block & set(x.split())) >= licenses.THETA * len(set(x.split())) - 1e-9}
         assert r.labels == ",".join(sorted(want)), text[:80]
         assert 0 <= r.score <= 1
     assert "apache" in got[10_025].labels and "mit" in got[10_026].labels
     assert licenses.scan(empty(spark)).count() == 0
+    wrapped = ["Redistribution and use in source and binary forms, with or without\nmodification, are permitted", "x " * 40 + "Unless required by applicable law or agreed to in writing, software\n * distributed under the License is distributed on an\n * \"AS IS\" BASIS"]
+    got = licenses.scan(spark.createDataFrame(list(enumerate(wrapped)), "doc_id long, text string")).sort("doc_id").collect()
+    assert [r.labels for r in got] == ["bsd", "apache"]
 
 
 def test_gif_digest(spark, docs):
