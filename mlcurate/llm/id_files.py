@@ -5,7 +5,8 @@ segment: the documents it holds, their lengths, and the coded ids. Rows are writ
 by committed tasks only, so a lost executor leaves no half file behind.
 
 Defined cases: null and empty texts hold the end id alone; rows with a null doc_id
-come first; repeated doc_ids keep all their rows; an empty table gives no rows;
+come first; repeated doc_ids keep all their rows, shorter texts first, then in order of
+a hash, so starts are determined; an empty table gives no rows;
 extra columns are ignored.
 """
 
@@ -14,12 +15,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mlcurate.llm import range_coder, tokens
 from mlcurate import session
+from mlcurate.llm import range_coder, tokens
 from mlcurate.session import prepare
 
 #: Ids that a segment takes before it is closed at a document's end; 16 bits hold each id.
-SEGMENT = 4_000_000
+SEGMENT = 3_000_000
 _SCHEMA = "part int, seq int, first_doc long, n_docs long, n_ids long, docs binary, nulls binary, lengths binary, payload binary"
 
 
@@ -62,7 +63,9 @@ def write(docs: DataFrame, path: str, vocab: str | None = None, end_id: int = 2)
         if names:
             yield close()
 
-    ordered = docs.select("doc_id", F.col("text").alias("__text")).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("__text"))
+    order = ["doc_id", F.length("__text"), F.xxhash64("__text"), "__text"]  # ties: shorter texts first, then by hash
+    ordered = ordered.repartitionByRange(*order).sortWithinPartitions(*order)
     ordered.mapInArrow(segments, _SCHEMA).write.parquet(path)
 
 
