@@ -14,17 +14,19 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from mlcurate.session import settle
+from mlcurate.session import discard, settle
 
 
-#: Groups of a bucket table that are sent to every executor at most.
-BROADCAST_ROWS = 100_000
+#: Buckets of a table that are sent to every executor at most (16 MB).
+BROADCAST_ROWS = 1_000_000
 
 
 def members(rows: DataFrame) -> DataFrame:
-    """(key, id, pivot) of the buckets with two ids or more. ``rows`` is read twice: minima combine before the shuffle, so no bucket is one task's."""
-    ends = rows.groupBy("key").agg(F.min("id").alias("pivot"), F.max("id").alias("far")).where("pivot != far").drop("far")
-    return rows.join(ends, "key")
+    """(key, id, pivot) of the buckets with two ids or more, settled. ``rows`` is read twice: minima combine before the shuffle, so no bucket is one task's, and few buckets are joined without another shuffle."""
+    ends = settle(rows.groupBy("key").agg(F.min("id").alias("pivot"), F.max("id").alias("far")).where("pivot != far").drop("far"), "pivots")
+    out = settle(rows.join(F.broadcast(ends) if ends.count() <= BROADCAST_ROWS else ends, "key"), "buckets")
+    discard(ends)
+    return out
 
 
 def star(m: DataFrame) -> DataFrame:

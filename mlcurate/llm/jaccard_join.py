@@ -266,7 +266,7 @@ def _linked(docs: DataFrame, gram: int, threshold: float) -> DataFrame:
     reps = settle(classes(docs, gram), "classes")
     signed = reps.where("sig is not null").select("id", "n", "sig")
     keys = F.array(*[F.xxhash64(F.lit(b), *[F.element_at("sig", b * ROWS + r + 1) for r in range(ROWS)]) for b in range(HASHES // ROWS)])
-    m = settle(buckets.members(signed.select("id", F.explode(keys).alias("key"))), "buckets")
+    m = buckets.members(signed.select("id", F.explode(keys).alias("key")))
     ids = m.select("id").distinct()
     some = settle(signed.join(ids, "id", "left_semi"), "signatures")
     kept = settle(_pruned(buckets.star(m), some, threshold), "star")
