@@ -17,7 +17,7 @@ gr AS (SELECT doc_id, lang, g, count(*) AS k FROM (SELECT doc_id, lang, unnest(l
 
 
 def _pred(where: str = "true", name: str = "pred") -> str:
-    return f"""tc AS (SELECT lang AS label, g, sum(k) AS c FROM gr WHERE doc_id % 2 = 0 GROUP BY ALL),
+    return f"""tc AS (SELECT lang AS label, g, sum(k) AS c FROM gr GROUP BY ALL),
 vs AS (SELECT count(DISTINCT g) AS v FROM tc), tt AS (SELECT label, sum(c) AS t FROM tc WHERE {where} GROUP BY label),
 sc AS (SELECT doc_id, tt.label, sum(k * ln((coalesce(c, 0) + 0.5) / (t + 0.5 * v))) / sum(k) AS s FROM gr CROSS JOIN tt CROSS JOIN vs LEFT JOIN tc ON tc.g = gr.g AND tc.label = tt.label GROUP BY ALL),
 sm AS (SELECT doc_id, label, exp(0.5 * (s - max(s) OVER (PARTITION BY doc_id))) AS e FROM sc),
@@ -32,7 +32,7 @@ _CUT = "cut AS (SELECT label, quantile_cont(conf, 0.5) AS med, avg(conf) AS mean
 
 def predictions(spark, sf_dir, labels=None):
     docs = table(spark, sf_dir, "documents")
-    return settle(lid.NgramBayes().fit(docs.where("doc_id % 2 = 0")).predict(docs, labels=labels), "pred")
+    return settle(lid.NgramBayes().fit(docs).predict(docs, labels=labels), "pred")
 
 
 @query(S.with_(PRED, "SELECT doc_id, label, round(conf, 6) AS conf, round(margin, 6) AS margin FROM pred"))
@@ -44,7 +44,7 @@ def w_lid_nb_predict(spark, sf_dir):
 def w_lid_nb_arrow(spark, sf_dir):
     """The same labels without a shuffle."""
     docs = table(spark, sf_dir, "documents")
-    return lid.NgramBayes().fit(docs.where("doc_id % 2 = 0")).predict_arrow(docs).select("doc_id", "label", F.round("conf", 6).alias("conf"))
+    return lid.NgramBayes().fit(docs).predict_arrow(docs).select("doc_id", "label", F.round("conf", 6).alias("conf"))
 
 
 @query(S.with_(PRED, "SELECT lang, label, count(*) AS n, round(count(*) / sum(count(*)) OVER (PARTITION BY lang), 6) AS share FROM pred JOIN documents USING (doc_id) GROUP BY lang, label"))
@@ -56,7 +56,7 @@ def w_lid_confusion(spark, sf_dir):
 def w_lid_cousin(spark, sf_dir):
     """A model without Spanish: where do Spanish documents go?"""
     docs = table(spark, sf_dir, "documents")
-    model = lid.NgramBayes().fit(docs.where("doc_id % 2 = 0"))
+    model = lid.NgramBayes().fit(docs)
     return lid.cousin_matrix(model.predict(docs, labels=["de", "en", "fr"]), docs)
 
 
