@@ -1,22 +1,26 @@
 """Near-duplicate clusters by banded MinHash over word 5-grams, per language or any wider key.
 
-Identical texts collapse first, with their count. Signatures are grouped minima of
-one expression per hash function (combined before the shuffle); bands, star edges and
-components follow, and one document per cluster stays with the cluster's size.
+Identical texts collapse first, with their count. A document's signature is made where
+its text is read, without a shuffle; bands, star edges and components follow, and one
+document per cluster stays with the cluster's size.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+import numpy as np
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType, StructType
 
 from mlcurate.dedup.components import connected
 from mlcurate.functions import words as W
-from mlcurate.session import settle
+from mlcurate.session import prepare, settle
 
 PRIME = (1 << 31) - 1
+#: Shingles whose values are computed at once.
+SLICE = 4096
 
 
 @dataclass(frozen=True)
@@ -40,26 +44,53 @@ class Config:
         return out
 
 
+def _grams(docs: DataFrame, cfg: Config) -> Column:
+    """Distinct word n-grams, words by the tokenizer of the row's language."""
+    return W.let(W.words_in(F.col("text"), W.language_of(docs)), lambda w: F.array_distinct(W.ngrams(w, cfg.gram)))
+
+
+def _hash(s: Column, cfg: Config) -> Column:
+    return F.xxhash64(s) if cfg.family == "xx" else F.conv(F.substring(F.md5(s), 1, 7), 16, 10).cast("long")
+
+
 def shingles(docs: DataFrame, cfg: Config = Config(), keep: tuple[str, ...] = ("doc_id", "lang")) -> DataFrame:
     """(keep, g): hashes of distinct word n-grams; shorter texts are one, texts without words have none."""
-    grams = W.let(W.words(F.col("text")), lambda w: F.array_distinct(W.ngrams(w, cfg.gram)))
-    x = docs.select(*keep, F.explode(grams).alias("s"))
-    g = F.xxhash64("s") if cfg.family == "xx" else F.conv(F.substring(F.md5("s"), 1, 7), 16, 10).cast("long")
-    return x.select(*keep, g.alias("g"))
+    x = docs.select(*keep, F.explode(_grams(docs, cfg)).alias("s"))
+    return x.select(*keep, _hash(F.col("s"), cfg).alias("g"))
 
 
-def _value(g: Column, i: int, cfg: Config) -> Column:
-    if cfg.family == "xx":
-        return F.xxhash64(F.lit(i), g)
-    a, b = cfg.coefficients[i]
-    return (g * F.lit(a) + F.lit(b)) % PRIME
+def minima(g: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The least value of every affine function over hashes below 2**28; a slice of long texts at a time, so memory stays bounded."""
+    low = np.full(len(a), PRIME, np.int64)
+    for i in range(0, len(g), SLICE):
+        np.minimum(low, ((g[i : i + SLICE, None] * a + b) % PRIME).min(0), out=low)
+    return low
 
 
 def signatures(docs: DataFrame, cfg: Config = Config(), keep: tuple[str, ...] = ("doc_id", "lang")) -> DataFrame:
-    """(keep, sig): minima of every hash function."""
-    g = shingles(docs, cfg, keep)
-    low = g.groupBy(*keep).agg(*[F.min(_value(F.col("g"), i, cfg)).alias(f"m{i}") for i in range(cfg.bands * cfg.rows)])
-    return low.select(*keep, F.array(*[F.col(f"m{i}") for i in range(cfg.bands * cfg.rows)]).alias("sig"))
+    """(keep, sig): minima of every hash function, a row per document that has words, without a shuffle."""
+    n = cfg.bands * cfg.rows
+    x = docs.select(*keep, _grams(docs, cfg).alias("__s")).where(F.size("__s") > 0)
+    x = x.select(*keep, F.transform("__s", lambda s: _hash(s, cfg)).alias("__g"))
+    if cfg.family == "xx":
+        each = F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.array_min(F.transform("__g", lambda g: F.xxhash64(i, g))))
+        return x.select(*keep, each.alias("sig"))
+    prepare(docs.sparkSession)
+    a, b = (np.array(c, np.int64) for c in zip(*cfg.coefficients, strict=True))
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            lists = batch.column(batch.num_columns - 1)
+            ends, values = lists.offsets.to_numpy(), lists.values.to_numpy()
+            sig = [minima(values[s:e], a, b) for s, e in zip(ends, ends[1:], strict=False)]
+            flat = np.concatenate(sig) if sig else np.empty(0, np.int64)
+            made = pa.ListArray.from_arrays(pa.array(np.arange(len(sig) + 1, dtype=np.int32) * n), pa.array(flat))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], made], [*batch.schema.names[:-1], "sig"])
+
+    schema = StructType(list(x.schema.fields)[:-1]).add("sig", ArrayType(LongType()))
+    return x.mapInArrow(run, schema)
 
 
 def band_keys(sigs: DataFrame, cfg: Config = Config(), keep: tuple[str, ...] = ("doc_id", "lang")) -> DataFrame:
@@ -70,9 +101,13 @@ def band_keys(sigs: DataFrame, cfg: Config = Config(), keep: tuple[str, ...] = (
 
 
 def star_edges(bands: DataFrame, scope: tuple[str, ...] = ("lang",)) -> DataFrame:
-    """(src, dst): every member of a bucket and its smallest id; linear in the rows."""
-    w = Window.partitionBy(*scope, "band", "bkey")
-    return bands.select(F.col("doc_id").alias("src"), F.min("doc_id").over(w).alias("dst")).where("src != dst").distinct()
+    """(src, dst): every member of a bucket and its smallest id; linear in the rows.
+
+    Smallest ids combine before the shuffle and buckets of one document fall away; the join with the rest can be split
+    where a bucket is large, which a window over buckets can't be."""
+    key = [*scope, "band", "bkey"]
+    least = bands.groupBy(*key).agg(F.min("doc_id").alias("dst"), F.max("doc_id").alias("__most")).where("dst < __most").drop("__most")
+    return bands.join(least, key).select(F.col("doc_id").alias("src"), "dst").where("src != dst").distinct()
 
 
 def exact(docs: DataFrame, scope: tuple[str, ...] = ("lang",)) -> DataFrame:
@@ -86,7 +121,7 @@ def clusters(docs: DataFrame, cfg: Config = Config(), scope: tuple[str, ...] = (
     narrow = docs.select("doc_id", *scope, h.alias("h"))
     reps = settle(narrow.groupBy(*scope, "h").agg(F.min("doc_id").alias("rep")), "reps")
     texts = docs.join(reps.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
-    bands = band_keys(signatures(texts, cfg, ("doc_id", *scope)), cfg, ("doc_id", *scope))
+    bands = settle(band_keys(signatures(texts, cfg, ("doc_id", *scope)), cfg, ("doc_id", *scope)), "bands")
     comp = connected(star_edges(bands, scope), algo)
     named = narrow.join(reps, [*scope, "h"]).join(comp.withColumnRenamed("id", "rep"), "rep", "left").select("doc_id", *scope, F.coalesce("comp", "rep").alias("comp"))
     named = settle(named, "clusters")

@@ -9,6 +9,7 @@ the mean log probability of its n-grams, and its confidence the softmax of those
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -56,16 +57,20 @@ class NgramBayes:
         size = c.select("g").distinct().count()
         totals = {r.label: r.t for r in c.groupBy("label").agg(F.sum("c").alias("t")).collect()}  # one row per label
         self.labels = sorted(totals)
+        self.totals = totals
         logs = F.array(*[F.log((F.coalesce(F.element_at("m", x), F.lit(0)) + self.add) / (totals[x] + self.add * size)) for x in self.labels])
         self.table = c.groupBy("g").agg(F.map_from_entries(F.collect_list(F.struct("label", "c"))).alias("m")).select("g", logs.alias("logs"))
         self.size = size
-        import math
-
         self.default = [math.log(self.add / (totals[x] + self.add * size)) for x in self.labels]
         if self.script_prior:
             self.scripts_known = tuple(r[0] for r in docs.where(~F.col(label).isin(list(NOISE))).select(scripts.dominant(F.col("text"))).distinct().collect())
         return self
 
+    def largest(self, share: float) -> list[str]:
+        """The labels with most training text, a share of all: what a classifier of a smaller family knows."""
+        n = max(1, math.ceil(len(self.labels) * share - 1e-9))
+        return sorted(self.labels, key=lambda x: (-self.totals[x], x))[:n]
+
     def predict(self, docs: DataFrame, key: str = "doc_id", labels: list[str] | None = None) -> DataFrame:
         """(key, label, conf, margin); ``labels`` restricts the choice, as a smaller model would."""
         own = [i for i, x in enumerate(self.labels) if labels is None or x in labels]

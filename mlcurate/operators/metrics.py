@@ -56,8 +56,9 @@ def line_metrics(df: DataFrame) -> DataFrame:
 
 
 def word_metrics(df: DataFrame) -> DataFrame:
-    """``df`` (text, n_lines) with word counts and ratios."""
-    df = df.withColumns({"__w": W.words(F.col("text")), "__t": W.tokens(F.col("text"))})
+    """``df`` (text, n_lines, lang if known) with word counts and ratios, words by the language's tokenizer."""
+    lang = W.language_of(df)
+    df = df.withColumns({"__w": W.words_in(F.col("text"), lang), "__t": W.tokens_in(F.col("text"), lang)})
     n = F.greatest(F.size("__w"), F.lit(1))
     return df.withColumns({
         "n_words": F.size("__w").cast("long"),
@@ -101,11 +102,11 @@ REPETITION = [*(f"top_{n}gram_char_ratio" for n in TOP), *(f"dup_{n}gram_char_ra
 
 
 def repetition_metrics(df: DataFrame) -> DataFrame:
-    """``df`` (text) with the n-gram ratios; whole texts, one Arrow pass."""
+    """``df`` (text, lang if known) with the n-gram ratios; whole texts, one Arrow pass."""
     prepare(df.sparkSession)
     from pyspark.sql.types import DoubleType, StructType
 
-    fields = df.withColumn("__w", W.words(F.col("text")))
+    fields = df.withColumn("__w", W.words_in(F.col("text"), W.language_of(df)))
 
     def run(batches):
         import pyarrow as pa

@@ -14,7 +14,7 @@ ENGLISH = ("the", "be", "to", "of", "and", "that", "have", "with")
 
 def counts(docs: DataFrame, by: str = "lang") -> DataFrame:
     """(by, token, n): combined before the shuffle."""
-    return docs.select(by, F.explode(W.words(F.col("text"))).alias("token")).groupBy(by, "token").agg(F.count(F.lit(1)).alias("n"))
+    return docs.select(by, F.explode(W.words_in(F.col("text"), F.col(by))).alias("token")).groupBy(by, "token").agg(F.count(F.lit(1)).alias("n"))
 
 
 def _frequencies(docs: DataFrame, by: str) -> DataFrame:
@@ -57,7 +57,7 @@ def leakage(words: DataFrame, english: str = "en", by: str = "lang") -> DataFram
 def hits(docs: DataFrame, stop: DataFrame, occurrences: bool = False, by: str = "lang", key: str = "doc_id") -> DataFrame:
     """(key, by, n_stopwords): distinct list words (or their occurrences) in each document; list lengths are small per language."""
     lists = stop.groupBy(by).agg(F.collect_set("token").alias("__stop"))
-    w = docs.join(F.broadcast(lists), by, "left").withColumn("__w", W.words(F.col("text")))
+    w = docs.join(F.broadcast(lists), by, "left").withColumn("__w", W.words_in(F.col("text"), F.col(by)))
     none = F.array().cast("array<string>")
     known = F.coalesce("__stop", none)
     n = F.size(F.filter("__w", lambda x: F.array_contains(known, x))) if occurrences else F.size(F.array_intersect("__w", known))

@@ -87,15 +87,30 @@ def w_ladder(spark, sf_dir):
     return out
 
 
-@query()
+_ENTROPY = f"""{RATES},
+step AS (SELECT '1 identified' AS stage, doc_id, lang, 1 AS k FROM documents UNION ALL SELECT '2 deduplicated', doc_id, lang, 1 FROM sv UNION ALL SELECT '3 filtered', doc_id, lang, 1 FROM sv WHERE keep
+    UNION ALL SELECT '4 rehydrated', sv.doc_id, sv.lang, floor(weight + 0.5)::INT FROM sv JOIN bn USING (lang, cluster_size) JOIN wt USING (lang, size_bin) WHERE keep),
+hd AS ({S.CLEAN} AND doc_id % 5 = 0),
+tk AS MATERIALIZED (SELECT doc_id, lang, unnest(w) AS w, unnest(range(len(w))) AS i FROM (SELECT doc_id, lang, {S.WORDS} AS w FROM documents)),
+tr AS MATERIALIZED (SELECT stage, tk.*, k FROM step JOIN tk USING (doc_id, lang) WHERE doc_id NOT IN (SELECT doc_id FROM hd)
+    UNION ALL SELECT s.stage || '*', tk.*, 1 FROM tk JOIN hd USING (doc_id, lang), (SELECT DISTINCT stage FROM step) s),
+vo AS (SELECT stage, lang, w FROM tr WHERE stage NOT LIKE '%*' GROUP BY ALL HAVING sum(k) >= 2),
+vs AS (SELECT stage, lang, count(*) AS v FROM vo GROUP BY ALL),
+sq AS (SELECT tr.stage, tr.lang, doc_id, i, k, CASE WHEN vo.w IS NULL THEN '<>' ELSE vo.w END AS w FROM tr LEFT JOIN vo ON vo.stage = rtrim(tr.stage, '*') AND vo.lang = tr.lang AND vo.w = tr.w),
+bg AS (SELECT stage, lang, u, w, sum(k) AS c FROM (SELECT *, lag(w) OVER (PARTITION BY stage, lang, doc_id ORDER BY i) AS u FROM sq) WHERE u IS NOT NULL GROUP BY ALL),
+un AS (SELECT stage, lang, u, sum(c) AS c FROM bg GROUP BY ALL)"""
+
+
+@query(S.with_(_ENTROPY, """SELECT vs.stage, vs.lang, sum(h.c)::BIGINT AS n_bigrams, round(-sum(h.c * ln((coalesce(bg.c, 0) + 0.1) / (coalesce(un.c, 0) + 0.1 * (v + 1)))) / sum(h.c), 6) AS cross_entropy
+    FROM bg h JOIN vs ON h.stage = vs.stage || '*' AND h.lang = vs.lang LEFT JOIN bg ON bg.stage = vs.stage AND bg.lang = h.lang AND bg.u = h.u AND bg.w = h.w LEFT JOIN un ON un.stage = vs.stage AND un.lang = h.lang AND un.u = h.u GROUP BY ALL"""))
 def w_ladder_entropy(spark, sf_dir):
-    """Bigram cross-entropy of held-out clean documents under each step's documents."""
+    """Bigram cross-entropy of held-out clean documents under each step's documents, as often as the step repeats them."""
     docs = table(spark, sf_dir, "documents")
     held = X.clean(spark, sf_dir).where("doc_id % 5 = 0").select("doc_id", "lang", "text")
     out = None
     for name, df in ladder_parts(spark, sf_dir).items():
-        train = docs.join(df.select("doc_id"), "doc_id", "left_semi").join(held.select("doc_id"), "doc_id", "left_anti").select("doc_id", "lang", "text")
-        x = reports.bigram_entropy(train, held).select(F.lit(name).alias("stage"), "lang", "n_bigrams", "cross_entropy")
+        train = docs.join(df.select("doc_id", "n_repeats"), "doc_id").join(held.select("doc_id"), "doc_id", "left_anti").select("doc_id", "lang", "text", "n_repeats")
+        x = reports.bigram_entropy(train, held, weight="n_repeats").select(F.lit(name).alias("stage"), "lang", "n_bigrams", "cross_entropy")
         out = x if out is None else out.unionByName(x)
     return out
 

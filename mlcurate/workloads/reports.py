@@ -53,9 +53,9 @@ def w_domain_share(spark, sf_dir):
     return R.domain_share(pages(spark, sf_dir), _LABELS)
 
 
-_SPLIT = """hs AS (SELECT doc_id, lang, md5(text) AS h FROM documents),
+_SPLIT = """hs AS (SELECT doc_id, lang, md5(coalesce(text, '')) AS h FROM documents),
 nk AS (SELECT lang, CASE WHEN count(*) >= 100 THEN least(floor(count(*) * 0.05 + 1e-9), 100000) ELSE 0 END AS k FROM documents GROUP BY lang),
-ft AS (SELECT lang, h FROM (SELECT hs.*, row_number() OVER (PARTITION BY lang ORDER BY h, doc_id) AS r FROM hs) JOIN nk USING (lang) WHERE r <= k)"""
+ft AS (SELECT lang, h FROM (SELECT lang, h, sum(count(*)) OVER (PARTITION BY lang ORDER BY h) AS r FROM hs GROUP BY lang, h) JOIN nk USING (lang) WHERE r <= k)"""
 
 
 @query(S.with_(_SPLIT, "SELECT doc_id, lang, CASE WHEN (lang, h) IN (SELECT (lang, h) FROM ft) THEN 'test' ELSE 'train' END AS part FROM hs"))

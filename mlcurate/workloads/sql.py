@@ -83,10 +83,11 @@ tally AS (SELECT grp, method, ref, lang, count(*) FILTER (bad AND quality = 0) A
 score AS (SELECT grp, method, ref, lang, round(CASE WHEN tp + fp + fn > 0 THEN 2 * tp / (2 * tp + fp + fn) ELSE 0 END, 6) AS score FROM tally),
 ranks AS (SELECT grp, method, ref, round(avg(r), 6) AS avg_rank FROM (SELECT s.*, rank() OVER (PARTITION BY s.grp, lang ORDER BY score DESC) AS r FROM score s JOIN ok USING (grp, method, ref) WHERE valid) GROUP BY ALL)"""
 
-_FREQ = f"""
-wc AS (SELECT lang, token, count(*) AS n FROM (SELECT lang, unnest({WORDS}) AS token FROM ref) GROUP BY ALL),
-fr AS (SELECT lang, token, n, n / total AS freq FROM wc JOIN (SELECT lang, sum(n) AS total FROM wc GROUP BY lang) USING (lang) WHERE regexp_matches(token, '^[\\p{{L}}\\p{{M}}]+$')),
+#: rk: words with a letter by rank in their language, from their counts (wc).
+FREQUENT = """
+fr AS (SELECT lang, token, n, n / total AS freq FROM wc JOIN (SELECT lang, sum(n) AS total FROM wc GROUP BY lang) USING (lang) WHERE regexp_matches(token, '^[\\p{L}\\p{M}]+$')),
 rk AS (SELECT *, row_number() OVER (PARTITION BY lang ORDER BY n DESC, token) AS rank FROM fr)""".strip()
+_FREQ = f"wc AS (SELECT lang, token, count(*) AS n FROM (SELECT lang, unnest({WORDS}) AS token FROM ref) GROUP BY ALL),\n{FREQUENT}"
 CLEAN = "SELECT documents.* FROM documents JOIN labels USING (doc_id) WHERE quality = 1 AND toxic = 0"
 #: sw: stopwords of the clean reference.
 STOP = f"ref AS ({CLEAN}),\n{_FREQ},\nsw AS (SELECT lang, token, n, freq FROM rk WHERE freq >= 0.008 OR rank <= 8)"
