@@ -63,3 +63,27 @@ def test_repeats_weigh_in_bigrams(spark):
     held = spark.createDataFrame([(99, "en", "a b c a")], "doc_id long, lang string, text string")
     one = reports.bigram_entropy(spark.createDataFrame(train, cols), held, weight="n").collect()
     assert one == reports.bigram_entropy(spark.createDataFrame(flat, cols), held).collect()
+
+
+def test_split_with_many_copies_stays_within_its_size(spark):
+    from mlcurate.operators import reports
+
+    text = F.when(F.col("id") < 600, F.lit("the same")).otherwise(F.concat(F.lit("text "), "id"))
+    docs = spark.range(2000).select(F.col("id").alias("doc_id"), F.lit("x").alias("lang"), text.alias("text"))
+    for rate in (0.01, 0.2, 0.5):
+        parts = reports.train_test(docs, rate=rate).join(docs, "doc_id")
+        assert parts.count() == 2000 and parts.where("part = 'test'").count() <= 2000 * rate
+        assert parts.where("text = 'the same'").select("part").distinct().count() == 1
+
+
+def test_english_leaves_first_and_hands_set_cuts(spark):
+    from mlcurate.plans import pipeline as P
+    from mlcurate.workloads import pipelines
+
+    docs, model, clean = pipelines.inputs(spark, "/root/testdata/sf0.001")
+    assert set(model.largest(0.5)) < set(model.labels) and model.largest(1.0)[0] == "en"
+    s = P.run(docs, model, clean, P.hand_tuned("de"))
+    assert {r.lang for r in s.identified.select("lang").distinct().collect()} == {"de"}
+    assert s.filtered.count() <= s.deduped.count() <= s.identified.count()
+    cuts = {r.rule: r.threshold for r in P._cuts(docs, clean, P.hand_tuned("de")).collect()}
+    assert cuts == P.HAND_TUNED
